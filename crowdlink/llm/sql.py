@@ -27,3 +27,19 @@ SELECT conv_id, count(*)::BIGINT AS n_turns,
        sum(shown)::BIGINT AS formatted_chars
 FROM sized GROUP BY conv_id
 """
+
+ORACLES["op1_decontamination"] = r"""
+WITH d AS (SELECT row_number() OVER () AS n, doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
+b AS (SELECT item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark),
+wins AS (SELECT DISTINCT item_id, list_aggregate(w[k:k+9], 'string_agg', ' ') AS s, len(w[k:k+9]) AS m
+         FROM (SELECT item_id, w, unnest(range(1, greatest(len(w) - 9, 1) + 1)) AS k FROM b WHERE len(w) > 0)),
+sizes AS (SELECT DISTINCT m FROM wins),
+dw AS (SELECT n, m, k, list_aggregate(w[k:k+m-1], 'string_agg', ' ') AS s
+       FROM (SELECT n, w, m, unnest(range(1, len(w) - m + 2)) AS k FROM d, sizes WHERE len(w) >= m)),
+occ AS (SELECT n, item_id, k, m FROM dw JOIN wins USING (s, m)),
+hit AS (SELECT n, count(DISTINCT p) AS n_hit FROM (SELECT n, unnest(range(k, k + m)) AS p FROM occ) GROUP BY n),
+its AS (SELECT n, count(*) AS n_items, string_agg(i, ',' ORDER BY i) AS l FROM (SELECT DISTINCT n, item_id::VARCHAR AS i FROM occ) GROUP BY n)
+SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items,
+       sha256(coalesce(l, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+FROM d LEFT JOIN hit USING (n) LEFT JOIN its USING (n)
+"""
