@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from crowdlink.llm import bpe, chat, decontaminate, near_dup, url_rules
+from crowdlink.llm import bpe, cap_filters, chat, decontaminate, near_dup, url_rules
 from crowdlink.llm.sql import ORACLES
 
 #: The rule set (host, path, verdict).
@@ -35,6 +35,10 @@ def op4_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_rules.judge(table(spark, sf_dir, "pages"), rules).withColumnRenamed("id", "page_id")
 
 
+def op6_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cap_filters.near_vectors(table(spark, sf_dir, "embeddings")).withColumnRenamed("id", "vec_id")
+
+
 def op7_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.report(near_dup.classes(table(spark, sf_dir, "documents")))
 
@@ -56,6 +60,7 @@ def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_decontamination": op1_decontamination,
     "op4_url_filters": op4_url_filters,
+    "op6_embeddings": op6_embeddings,
     "op7_minhash": op7_minhash,
     "op9_bpe": op9_bpe,
     "op10_chat": op10_chat,
