@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from crowdlink.llm import bpe, cap_filters, chat, decontaminate, near_dup, url_rules
+from crowdlink.llm import bpe, cap_filters, chat, decontaminate, near_dup, toxicity, url_rules
 from crowdlink.llm.sql import ORACLES
 
 #: The rule set (host, path, verdict).
@@ -43,6 +43,12 @@ def op7_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.report(near_dup.classes(table(spark, sf_dir, "documents")))
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    train = toxicity.training_rows(table(spark, sf_dir, "labels"), lambda i: ~toxicity.held_out(i))
+    return toxicity.report(toxicity.score(docs, toxicity.fit(docs, train)))
+
+
 def op9_bpe(spark: SparkSession, sf_dir: str, vocabulary: str | None = None) -> DataFrame:
     if vocabulary is None:
         import public_tokenizers
@@ -62,6 +68,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_url_filters": op4_url_filters,
     "op6_embeddings": op6_embeddings,
     "op7_minhash": op7_minhash,
+    "op8_toxicity": op8_toxicity,
     "op9_bpe": op9_bpe,
     "op10_chat": op10_chat,
 }
