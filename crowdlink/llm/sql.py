@@ -43,3 +43,23 @@ SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, c
        sha256(coalesce(l, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
 FROM d LEFT JOIN hit USING (n) LEFT JOIN its USING (n)
 """
+
+#: Rows of one document id and text are treated alike; the given tables repeat no id, so the order is that of ids.
+ORACLES["op2_line_dedup"] = r"""
+WITH d AS (SELECT doc_id, string_split(text, chr(10)) AS ls FROM documents),
+l AS (SELECT doc_id, k - 1 AS no, trim(ls[k]) AS line FROM (SELECT doc_id, ls, unnest(range(1, len(ls) + 1)) AS k FROM d)),
+f AS (SELECT row_number() OVER (ORDER BY doc_id, no) AS place, doc_id, no, string_split(line, ' ') AS w
+      FROM (SELECT line, min_by(doc_id, (doc_id, no)) AS doc_id, min_by(no, (doc_id, no)) AS no FROM l WHERE line <> '' GROUP BY line)),
+e AS (SELECT place, w, len(w) AS n, unnest(range(1, len(w) + 1)) AS i FROM f WHERE len(w) >= 8),
+cutout AS (SELECT place, n, i, array_to_string(list_concat(w[1:i-1], w[i+1:n]), ' ') AS s FROM e),
+whole AS (SELECT place, array_to_string(w, ' ') AS s, len(w) AS n FROM f WHERE len(w) >= 8),
+near AS (SELECT a.place FROM cutout a JOIN cutout b USING (n, i, s) WHERE b.place < a.place
+         UNION SELECT a.place FROM cutout a JOIN whole b ON a.s = b.s AND b.n = a.n - 1 WHERE b.place < a.place
+         UNION SELECT b.place FROM cutout a JOIN whole b ON a.s = b.s AND b.n = a.n - 1 WHERE a.place < b.place),
+j AS (SELECT f.doc_id, f.no, near.place IS NOT NULL AS near FROM f LEFT JOIN near ON f.place = near.place),
+k AS (SELECT doc_id, count(*) FILTER (NOT near) AS n_kept, count(*) FILTER (near) AS n_near,
+             coalesce(string_agg(no, ',' ORDER BY no) FILTER (NOT near), '') AS kept_lines FROM j GROUP BY doc_id),
+c AS (SELECT doc_id, count(*) FILTER (line <> '') AS n_lines FROM l GROUP BY doc_id)
+SELECT doc_id, coalesce(n_lines, 0)::BIGINT AS n_lines, coalesce(n_kept, 0)::BIGINT AS n_kept, coalesce(n_near, 0)::BIGINT AS n_near, coalesce(kept_lines, '') AS kept_lines
+FROM documents LEFT JOIN c USING (doc_id) LEFT JOIN k USING (doc_id)
+"""
