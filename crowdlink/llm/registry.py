@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from crowdlink.llm import bpe, cap_filters, chat, decontaminate, line_dedup, near_dup, toxicity, url_rules
+from crowdlink.llm import bpe, cap_filters, chat, decontaminate, line_dedup, near_dup, personal_data, toxicity, url_rules
 from crowdlink.llm.sql import ORACLES
 
 #: The rule set (host, path, verdict).
@@ -39,6 +39,10 @@ def op4_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_rules.judge(table(spark, sf_dir, "pages"), rules).withColumnRenamed("id", "page_id")
 
 
+def op5_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return personal_data.report(personal_data.find(table(spark, sf_dir, "documents")))
+
+
 def op6_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cap_filters.near_vectors(table(spark, sf_dir, "embeddings")).withColumnRenamed("id", "vec_id")
 
@@ -71,6 +75,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_decontamination": op1_decontamination,
     "op2_line_dedup": op2_line_dedup,
     "op4_url_filters": op4_url_filters,
+    "op5_personal_data": op5_personal_data,
     "op6_embeddings": op6_embeddings,
     "op7_minhash": op7_minhash,
     "op8_toxicity": op8_toxicity,
