@@ -14,6 +14,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from crowdlink.llm.arrays import let, sums_before
+
 #: Tokens that one placeholder of a kind stands for, if the part gives no size of its own. Fixed values.
 PART_TOKENS = {"image": 256, "audio": 128, "document": 512}
 
@@ -69,11 +71,11 @@ def format_turns(turns: DataFrame, learn: str = "assistant") -> DataFrame:
     head = lambda r: F.concat(F.lit("<"), escape(r["role"]), F.lit(">\n"))
     framed = F.transform("rows", lambda r: F.struct((r["role"] == learn).alias("learned"), F.length(head(r)).alias("head"), F.length(r["content"]).alias("size"), F.concat(head(r), r["content"], F.lit("</turn>\n")).alias("shown")))
 
-    def place(done: Column, x: Column) -> Column:
-        span = F.struct((done["at"] + x["head"]).alias("start"), x["size"].alias("length"))
-        return F.struct((done["at"] + F.length(x["shown"])).alias("at"), F.when(x["learned"], F.array_append(done["spans"], span)).otherwise(done["spans"]).alias("spans"))
+    def place(x: Column, at: Column) -> Column:
+        return F.struct((at + x["head"]).alias("start"), x["size"].alias("length"), x["learned"].alias("learned"))
 
-    spans = F.aggregate("framed", F.struct(F.lit(0).alias("at"), F.expr("cast(array() as array<struct<start:int,length:int>>)").alias("spans")), place, lambda x: x["spans"])
+    placed = F.zip_with("framed", sums_before(F.transform("framed", lambda x: F.length(x["shown"]))), place)
+    spans = F.transform(F.filter(placed, lambda x: x["learned"]), lambda x: F.struct(x["start"].alias("start"), x["length"].alias("length")))
     files = F.flatten(F.transform("rows", lambda r, i: F.transform(r["files"], lambda f: F.struct(i.alias("turn_index"), f["n"].alias("n"), f["kind"].alias("kind"), f["ref"].alias("ref"), f["tokens"].alias("tokens")))))
     return (
         listed.withColumn("framed", framed)
@@ -83,7 +85,7 @@ def format_turns(turns: DataFrame, learn: str = "assistant") -> DataFrame:
 
 def read_back(formatted: Column) -> Column:
     """Array of (role, text) of a formatted conversation; placeholders stand in the text as they were written."""
-    turns = F.slice(F.split(formatted, "</turn>\n", -1), 1, F.size(F.split(formatted, "</turn>\n", -1)) - 1)
+    turns = let(F.split(formatted, "</turn>\n", -1), lambda x: F.slice(x, 1, F.size(x) - 1))
 
     def one(t: Column) -> Column:
         role = F.substring_index(t, ">\n", 1)
@@ -94,7 +96,7 @@ def read_back(formatted: Column) -> Column:
 
 def masked_texts(formatted: Column, spans: Column) -> Column:
     """The unescaped texts under the loss mask, in order."""
-    return F.transform(spans, lambda s: unescape(F.substr(formatted, s["start"] + 1, s["length"])))
+    return let(formatted, lambda text: F.transform(spans, lambda s: unescape(F.substr(text, s["start"] + 1, s["length"]))))
 
 
 def digests(chats: DataFrame) -> DataFrame:

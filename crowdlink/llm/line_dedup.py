@@ -22,6 +22,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from crowdlink.llm.arrays import let
 from crowdlink.storage import cut
 
 MIN_WORDS = 8
@@ -129,7 +130,8 @@ def near_lines(docs: DataFrame, distinct: DataFrame, id_col: str, text_col: str)
     wanted = survivors.groupBy(F.col("place.doc").alias("doc"), F.col("place.th").alias("th")).agg(F.collect_list(F.struct("place.no", "h1", "h2")).alias("wanted"))
     parts = docs.select(F.col(id_col).alias("doc"), F.xxhash64(text_col).alias("th"), F.col(text_col).alias("text")).alias("d")
     held = parts.join(wanted.alias("w"), F.col("d.doc").eqNullSafe(F.col("w.doc")) & (F.col("d.th") == F.col("w.th")))
-    picked = held.select("d.doc", "d.th", F.split("d.text", "\n").alias("lines"), "w.wanted").select("doc", "th", F.explode(F.transform("wanted", lambda x: F.struct(x["h1"].alias("h1"), x["h2"].alias("h2"), x["no"].alias("no"), F.element_at("lines", x["no"] + 1).alias("raw")))).alias("x"))
+    pick = let(F.split("d.text", "\n"), lambda lines: F.transform("w.wanted", lambda x: F.struct(x["h1"].alias("h1"), x["h2"].alias("h2"), x["no"].alias("no"), F.get(lines, x["no"]).alias("raw"))))
+    picked = held.select("d.doc", "d.th", F.explode(pick).alias("x"))
     texts = picked.groupBy("x.h1", "x.h2").agg(F.any_value(F.struct("doc", "th", "x.no")).alias("place"), F.any_value(F.split(F.trim("x.raw"), " ")).alias("words"))
     texts = cut(texts, "lines")
     pairs = partners(cut(variants(texts), "variants"))
@@ -155,11 +157,13 @@ def _with_kept(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 def rewrite(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The documents, their text without the lines that go."""
-    lines = F.split(text_col, "\n")
-    numbers = F.sequence(F.lit(0), F.size(lines) - 1)
-    blank = F.filter(numbers, lambda i: F.trim(F.get(lines, i)) == "")
-    stay = F.array_sort(F.array_union(blank, F.coalesce("kept_lines", F.expr("cast(array() as array<int>)"))))
-    text = F.array_join(F.transform(stay, lambda i: F.get(lines, i)), "\n")
+
+    def without(lines: Column) -> Column:
+        blank = F.filter(F.sequence(F.lit(0), F.size(lines) - 1), lambda i: F.trim(F.get(lines, i)) == "")
+        stay = F.array_sort(F.array_union(blank, F.coalesce("kept_lines", F.expr("cast(array() as array<int>)"))))
+        return F.array_join(F.transform(stay, lambda i: F.get(lines, i)), "\n")
+
+    text = let(F.split(text_col, "\n"), without)
     out = _with_kept(docs, id_col, text_col).withColumn(text_col, F.when(F.col(text_col).isNotNull(), text))
     return out.select(*docs.columns)
 
