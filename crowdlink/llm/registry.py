@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from crowdlink.llm import bpe, cap_filters, chat, decontaminate, line_dedup, near_dup, personal_data, toxicity, url_rules
+from crowdlink.llm import bpe, cap_filters, chat, decontaminate, line_dedup, lm_score, near_dup, personal_data, toxicity, url_rules
 from crowdlink.llm.sql import ORACLES
 
 #: The rule set (host, path, verdict).
@@ -34,6 +34,10 @@ def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.report(table(spark, sf_dir, "documents"))
 
 
+def op3_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_score.score(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
+
+
 def op4_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     rules = spark.createDataFrame(URL_RULES, "host string, path string, verdict string")
     return url_rules.judge(table(spark, sf_dir, "pages"), rules).withColumnRenamed("id", "page_id")
@@ -74,6 +78,7 @@ def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_decontamination": op1_decontamination,
     "op2_line_dedup": op2_line_dedup,
+    "op3_lm_score": op3_lm_score,
     "op4_url_filters": op4_url_filters,
     "op5_personal_data": op5_personal_data,
     "op6_embeddings": op6_embeddings,
