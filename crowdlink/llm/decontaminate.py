@@ -142,10 +142,19 @@ def find_spans(docs: DataFrame, benchmark: DataFrame, width: int = 10, id_col: s
             if first < len(texts):
                 yield shard(batch.column(0).slice(first), texts[first:])
 
-    kind = docs.schema[id_col].dataType.simpleString()
+    kind = docs.schema[id_col].dataType.simpleString()  # of any type: a whole row in ``remove``
     return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, f"id {kind}, n_words long, spans array<struct<start:int,end:int>>, items array<string>, cleaned string")
 
 
+def remove(docs: DataFrame, benchmark: DataFrame, width: int = 10, text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
+    """The documents with all their columns, the removal spans cut out of the text."""
+    names = docs.columns
+    at = names.index(text_col)
+    packed = docs.select(F.struct(*(F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(names) if k != at)).alias("row"), F.col(f"`{text_col}`").alias("text"))
+    found = find_spans(packed, benchmark, width, "row", "text", item_col, item_text)
+    return found.select(*(F.col("cleaned" if k == at else f"id.c{k}").alias(c) for k, c in enumerate(names)))
+
+
 def without(raw: bytes, spans: list[dict]) -> str:
     """The text without the bytes from each span's first word to its last."""
     places = [m.span() for m in WORD.finditer(raw.lower())]

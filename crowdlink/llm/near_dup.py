@@ -6,9 +6,11 @@ at least ``least``; its id is its least document id.
 
 Texts of the same words are one representative from the start. A bucket holds the representatives that
 agree in all registers of a band; each is compared with the bucket's least one, and afterwards only with
-bucket members of other classes whose distance to the least one allows a link: the distance is a metric,
-and both distances to the least one are known. So a group of thousands of copies costs about one
-comparison for each copy, and no link that could join two classes is left out.
+bucket members of other classes where two bounds allow a link: the distance is a metric and both distances
+to the least one are known; shingles that no other open text has cannot overlap; and registers that differ
+far too often rule a link out. The member with the
+fewest such shingles, the likely original, is compared first. So a group of thousands of copies costs about
+two comparisons for each copy, and no link that could join two classes is left out.
 
 Defined results: a null text or one without words has no shingles and is a class of its own; repeated
 rows get a row each with one class; a null id gets no class; an empty table gives no rows; extra columns
@@ -22,7 +24,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from crowdlink.graph import components
@@ -61,7 +63,7 @@ def multisets(shingles: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.n
 
 
 def sign(docs: DataFrame, id_col: str, text_col: str, width: int = WIDTH) -> DataFrame:
-    """Rows ``(id, n, same1, same2, bands)``: shingles, a 128-bit digest of the words, and band hashes."""
+    """Rows ``(id, n, same1, same2, bands, sketch)``: shingles, a 128-bit digest of the words, band hashes, and four bits of each register."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -70,21 +72,26 @@ def sign(docs: DataFrame, id_col: str, text_col: str, width: int = WIDTH) -> Dat
                 rows = part.num_rows
                 shingles, owner = shingle_hashes(words, bounds, width)
                 elements, own, counts = multisets(shingles, owner)
-                registers = signatures(elements, counts, own, rows, BANDS * DEPTH).reshape(rows, BANDS, DEPTH)
+                registers = signatures(elements, counts, own, rows, BANDS * DEPTH)
+                by_band = registers.reshape(rows, BANDS, DEPTH)
                 with np.errstate(over="ignore"):
                     bands = np.broadcast_to(mix(np.arange(BANDS, dtype=np.uint64)), (rows, BANDS)).copy()
                     for k in range(DEPTH):
-                        bands = mix(bands * np.uint64(0x2545F4914F6CDD1D) + registers[:, :, k])
+                        bands = mix(bands * np.uint64(0x2545F4914F6CDD1D) + by_band[:, :, k])
                     # digest of the word sequence: two sums of words weighted by their place
                     place = np.arange(len(words), dtype=np.uint64) - np.repeat(bounds[:-1], np.diff(bounds)).astype(np.uint64)
                     sums = [np.append(np.uint64(0), np.cumsum(mix(words ^ mix(place * np.uint64(2) + np.uint64(k + 1))))) for k in range(2)]
                     same = [(x[bounds[1:]] - x[bounds[:-1]]) ^ np.diff(bounds).astype(np.uint64) for x in sums]
                 n = np.bincount(owner, minlength=rows).astype(np.int64)
+                # four bits of each register, sixteen to a number
+                nibbles = (registers & np.uint64(15)).reshape(rows, -1, 16) << (np.arange(16, dtype=np.uint64) * np.uint64(4))
+                sketch = np.bitwise_or.reduce(nibbles, axis=2)
+                short = pa.ListArray.from_arrays(pa.array(np.arange(rows + 1, dtype=np.int32) * np.int32(sketch.shape[1])), pa.array(sketch.reshape(-1).view(np.int64)))
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(0, rows * BANDS + 1, BANDS, dtype=np.int32)), pa.array(bands.reshape(-1).view(np.int64)))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n), *(pa.array(x.view(np.int64)) for x in same), lists], names=["id", "n", "same1", "same2", "bands"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n), *(pa.array(x.view(np.int64)) for x in same), lists, short], names=["id", "n", "same1", "same2", "bands", "sketch"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, f"id {kind}, n long, same1 long, same2 long, bands array<long>")
+    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, f"id {kind}, n long, same1 long, same2 long, bands array<long>, sketch array<long>")
 
 
 def overlap(pairs: DataFrame, texts: DataFrame, width: int = WIDTH) -> DataFrame:
@@ -115,6 +122,21 @@ def overlap(pairs: DataFrame, texts: DataFrame, width: int = WIDTH) -> DataFrame
     return pairs.join(left, "a").join(right, "b").select("a", "b", "text_a", "text_b").mapInArrow(run, f"a {kind}, b {kind}, similarity double")
 
 
+def own_shingles(texts: DataFrame, width: int = WIDTH) -> DataFrame:
+    """Rows ``(id, own)``: how many of a text's shingles, with repeats, no other of these texts (id, text) has."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in pieces(batch, 1):
+                elements, own, counts = multisets(*shingle_hashes(*word_hashes(part.column(1)), width))
+                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(own)), pa.array(elements.view(np.int64)), pa.array(counts)], names=["id", "shingle", "n"])
+
+    kind = texts.schema["id"].dataType.simpleString()
+    each = texts.select("id", "text").mapInArrow(run, f"id {kind}, shingle long, n long")
+    lone = each.groupBy("shingle").agg(F.count("*").alias("texts"), F.min("id").alias("id"), F.min("n").alias("n")).where("texts = 1")
+    return lone.groupBy("id").agg(F.sum("n").alias("own"))
+
+
 def multisets_place(elements: np.ndarray, own: np.ndarray, e: np.ndarray, o: np.ndarray) -> np.ndarray:
     """Index of each (o, e) among the sorted (own, elements), all of which are there."""
     order = np.lexsort((np.concatenate([elements, e]), np.concatenate([own, o])), axis=0)
@@ -126,12 +148,36 @@ def multisets_place(elements: np.ndarray, own: np.ndarray, e: np.ndarray, o: np.
     return out
 
 
+def _mixed(bucket: DataFrame, label: DataFrame) -> DataFrame:
+    """Members of the buckets (key, rep) that hold more than one class, with their class."""
+    placed = bucket.join(label.withColumnRenamed("id", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+    mixed = placed.groupBy("key").agg(F.min("component").alias("c1"), F.max("component").alias("c2")).where("c1 <> c2").select("key")
+    return placed.join(mixed, "key", "left_semi")
+
+
+def differing(x: str, y: str) -> Column:
+    """Registers of two sketches that differ in the four bits kept of them."""
+    out = F.lit(0)
+    for k in range(BANDS * DEPTH // 16):
+        v = F.get(x, F.lit(k)).bitwiseXOR(F.get(y, F.lit(k)))
+        v = v.bitwiseOR(F.shiftrightunsigned(v, 2))
+        v = v.bitwiseOR(F.shiftrightunsigned(v, 1))
+        out = out + F.bit_count(v.bitwiseAND(F.lit(0x1111111111111111)))
+    return out
+
+
+def differing_bound(least: float) -> int:
+    """6.5 deviations above what a pair of similarity ``least`` is expected to show: missed less often than by the bands."""
+    p = (1 - least) * 15 / 16
+    return int(BANDS * DEPTH * p + 6.5 * (BANDS * DEPTH * p * (1 - p)) ** 0.5)
+
+
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least: float = LEAST) -> DataFrame:
     """Rows ``(id, class_id, n_shingles)`` of every document."""
     signed = cut(sign(docs, id_col, text_col), "signatures")
     alone = signed.where("n = 0").select("id", F.col("id").alias("class_id"), F.col("n").alias("n_shingles"))
     signed = signed.where("n > 0 AND id IS NOT NULL")
-    reps = signed.groupBy("same1", "same2").agg(F.min("id").alias("rep"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands"))
+    reps = signed.groupBy("same1", "same2").agg(F.min("id").alias("rep"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands"), F.any_value("sketch").alias("sketch"))
     reps = cut(reps, "representatives")
     members = reps.select("rep", "n", F.explode("bands").alias("key"))
     heads = members.groupBy("key").agg(F.min(F.struct("rep", "n")).alias("head"), F.count("*").alias("size")).where("size > 1").select("key", "head.*")
@@ -146,21 +192,41 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lea
     links = first.where(F.col("similarity") >= least).select(F.col("a").alias("u"), F.col("b").alias("w"))
     label = cut(components(links), "classes")
     # what the least ones could not show: members of one bucket that are still in different classes
-    label_of = bucket.join(label.select(F.col("id").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    label_of = label_of.join(first.select(F.col("a").alias("head"), F.col("b").alias("rep"), "similarity"), ["head", "rep"], "left")
-    label_of = cut(label_of.withColumn("far", F.when(F.col("rep") == F.col("head"), 0.0).otherwise(1 - F.col("similarity"))), "labels")
-    mixed = label_of.groupBy("key").agg(F.min("component").alias("c1"), F.max("component").alias("c2")).where("c1 <> c2").select("key")
-    open_ = label_of.join(mixed, "key", "left_semi").where("rep <> head")
-    x, y = open_.alias("x"), open_.alias("y")
-    allowed = F.coalesce(F.abs(F.col("x.far") - F.col("y.far")) <= 1 - least + 1e-9, F.lit(True))
-    second = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.rep") < F.col("y.rep")) & (F.col("x.component") != F.col("y.component")) & near(F.col("x.n"), F.col("y.n")) & allowed)
-    second = cut(second.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b")).distinct(), "pairs")
-    if not second.isEmpty():
-        more = overlap(second, texts).where(F.col("similarity") >= least).select(F.col("a").alias("u"), F.col("b").alias("w"))
+    bucket = bucket.join(first.select(F.col("a").alias("head"), F.col("b").alias("rep"), "similarity"), ["head", "rep"], "left")
+    bucket = bucket.select("key", "head", "rep", "n", F.when(F.col("rep") == F.col("head"), 0.0).otherwise(1 - F.col("similarity")).alias("far"))
+    open_ = cut(_mixed(bucket, label), "open")
+    own = own_shingles(texts.join(open_.select(F.col("rep").alias("id")).distinct(), "id", "left_semi"))
+    open_ = open_.join(own.withColumnRenamed("id", "rep"), "rep", "left").withColumn("shared", F.col("n") - F.coalesce("own", F.lit(0)))
+    open_ = cut(open_.where(F.col("shared") >= F.col("n") * least).drop("own", "component"), "open")
+
+    def link(u: str, v: str) -> Column:
+        most = F.least(f"{u}.shared", f"{v}.shared")  # no more can overlap
+        return most >= (F.col(f"{u}.n") + F.col(f"{v}.n") - most) * least
+
+    # the member with the least of its own stands in the middle of its bucket
+    middle = open_.groupBy("key").agg(F.min(F.struct((-F.col("shared") / F.col("n")).alias("r"), "rep", "n", "shared")).alias("m")).select("key", "m.rep", "m.n", "m.shared")
+    second = open_.alias("x").join(middle.alias("m"), "key").where((F.col("x.rep") != F.col("m.rep")) & (F.col("m.rep") != F.col("x.head")) & link("x", "m"))
+    found = overlap(second.select(F.col("m.rep").alias("a"), F.col("x.rep").alias("b")).distinct(), texts)
+    links = cut(links.unionByName(found.where(F.col("similarity") >= least).select(F.col("a").alias("u"), F.col("b").alias("w"))), "links")
+    label = cut(components(links), "classes")
+    # whatever is still apart and could be linked is compared
+    open_ = _mixed(open_, label).where("rep <> head").select("head", "rep", "n", "far", "shared", "component").distinct()
+    open_ = cut(open_.join(reps.select("rep", "sketch"), "rep"), "open")
+    near = F.coalesce(F.abs(F.col("x.far") - F.col("y.far")) <= 1 - least + 1e-9, F.lit(True)) & link("x", "y") & (differing("x.sketch", "y.sketch") <= differing_bound(least))
+    third = open_.alias("x").join(open_.alias("y"), (F.col("x.head") == F.col("y.head")) & (F.col("x.rep") < F.col("y.rep")) & (F.col("x.component") != F.col("y.component")) & near)
+    third = cut(third.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b")).distinct(), "pairs")
+    if not third.isEmpty():
+        more = overlap(third, texts).where(F.col("similarity") >= least).select(F.col("a").alias("u"), F.col("b").alias("w"))
         label = cut(components(links.unionByName(more)), "classes")
     rep_label = reps.select("rep", "same1", "same2").join(label.withColumnRenamed("id", "rep"), "rep", "left").select("same1", "same2", F.coalesce("component", "rep").alias("class_id"))
     return signed.join(rep_label, ["same1", "same2"]).select("id", "class_id", F.col("n").alias("n_shingles")).unionByName(alone)
 
 
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The documents of the least id of each class; rows that repeat an id leave one, rows without an id all stay."""
+    stay = classes(docs, id_col, text_col).where("id = class_id").select(F.col("id").alias(id_col))
+    return docs.join(stay, id_col, "left_semi").dropDuplicates([id_col]).unionByName(docs.where(F.col(id_col).isNull()))
+
+
 def report(found: DataFrame) -> DataFrame:
     return found.select(F.col("id").alias("doc_id"), "class_id", "n_shingles", (F.col("id") == F.col("class_id")).alias("kept"))

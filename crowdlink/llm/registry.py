@@ -61,12 +61,14 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.report(toxicity.score(docs, toxicity.fit(docs, train)))
 
 
-def op9_bpe(spark: SparkSession, sf_dir: str, vocabulary: str | None = None) -> DataFrame:
-    if vocabulary is None:
-        import public_tokenizers
+def default_vocabulary() -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path("word_bpe_49k.json")
 
-        vocabulary = public_tokenizers.path("word_bpe_49k.json")
-    return bpe.digests(bpe.encode_texts(table(spark, sf_dir, "documents"), vocabulary))
+
+def op9_bpe(spark: SparkSession, sf_dir: str, vocabulary: str | None = None) -> DataFrame:
+    return bpe.digests(bpe.encode_texts(table(spark, sf_dir, "documents"), vocabulary or default_vocabulary()))
 
 
 def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:

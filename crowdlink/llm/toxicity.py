@@ -191,6 +191,13 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
     return _evidence(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")), model)
 
 
+def drop_toxic(docs: DataFrame, model: Model, least: float = 0.3, text_col: str = "text") -> DataFrame:
+    """The documents with all their columns whose score is less than ``least``."""
+    row = F.struct(*(F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(docs.columns)))
+    scored = _evidence(docs.select(row.alias("id"), F.col(f"`{text_col}`").alias("text")), model)
+    return scored.where(F.col("score") < least).select(*(F.col(f"id.c{k}").alias(c) for k, c in enumerate(docs.columns)))
+
+
 def held_out(doc_id: Column) -> Column:
     """Documents that are never learned from."""
     return F.coalesce(F.crc32(doc_id.cast("string")) % 4 == 2, F.lit(False))
