@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def cosine(a: Column, b: Column) -> Column:
@@ -16,23 +17,23 @@ def cosine(a: Column, b: Column) -> Column:
     return dot(a, b) / F.sqrt(dot(a, a) * dot(b, b))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def cosine_arrow(a: pd.Series, b: pd.Series) -> pd.Series:
     x, y = (np.stack(s.to_numpy()).astype(np.float64) for s in (a, b))
     return pd.Series((x * y).sum(axis=1) / np.sqrt((x * x).sum(axis=1) * (y * y).sum(axis=1)))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def noisy_or(p: pd.Series) -> float:
     return float(1 - np.prod(1 - p.to_numpy()))
 
 
-@F.udf("int")
+@F.udf(T.IntegerType())
 def digit_sum(text: str) -> int:
     return sum(int(c) for c in text or "" if c.isdigit() and c.isascii())
 
 
-@F.udtf(returnType="u: bigint, w: bigint")
+@F.udtf(returnType=T.StructType([T.StructField("u", T.LongType()), T.StructField("w", T.LongType())]))
 class PairsOf:
     """All pairs u < w of a list of ids."""
 

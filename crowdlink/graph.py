@@ -8,11 +8,27 @@ driver; every round is cut by a table in the shared folder.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from crowdlink.storage import cut
 
+#: So many edges are connected in one task; more of them by rounds.
+SMALL = 50_000
+
+
+def _in_one_task(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    from crowdlink.operators import kernels
+
+    edges = pd.concat(frames)
+    ids, at = np.unique(edges[["low", "high"]].to_numpy(), return_inverse=True)
+    a, b = at.reshape(-1, 2).T
+    yield pd.DataFrame({"id": ids, "component": ids[kernels.components(len(ids), a, b)]})
+
 
 def components(edges: DataFrame, a: str = "u", b: str = "w") -> DataFrame:
     """Rows ``(id, component)`` for each end of an edge; the component is its least id.
@@ -21,6 +37,10 @@ def components(edges: DataFrame, a: str = "u", b: str = "w") -> DataFrame:
     """
     ends = edges.where(F.col(a).isNotNull() & F.col(b).isNotNull()).select(F.least(a, b).alias("low"), F.greatest(a, b).alias("high"))
     live = cut(ends.distinct(), "edges")
+    integral = dict(live.dtypes)["low"] in ("bigint", "int", "smallint", "tinyint")
+    if integral and live.limit(SMALL + 1).count() <= SMALL:  # the size is checked, so the task is bounded
+        kind = dict(live.dtypes)["low"]
+        return live.repartition(1).mapInPandas(_in_one_task, f"id {kind}, component {kind}")
     nodes = live.select(F.col("low").alias("id")).union(live.select(F.col("high").alias("id"))).distinct()
     labels: DataFrame | None = None
     live = live.where("low <> high")
