@@ -24,7 +24,10 @@ SMALL = 50_000
 def _in_one_task(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     from crowdlink.operators import kernels
 
-    edges = pd.concat(frames)
+    held = list(frames)
+    if not held:
+        return
+    edges = pd.concat(held)
     ids, at = np.unique(edges[["low", "high"]].to_numpy(), return_inverse=True)
     a, b = at.reshape(-1, 2).T
     yield pd.DataFrame({"id": ids, "component": ids[kernels.components(len(ids), a, b)]})

@@ -5,10 +5,15 @@ Definitions that the reference only sketches are reconstructions from general kn
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from crowdlink.graph import components
+from crowdlink.operators import kernels
 from crowdlink.operators.clustering import positive_components
 from crowdlink.operators.votes import labelled, unit_hash
 from crowdlink.storage import cut
@@ -59,12 +64,30 @@ def density_next(pairs: DataFrame, fixed: DataFrame, clusters: DataFrame, count:
     return ranked.orderBy(order.desc() if rank == "desc" else order, "q.u", "q.w").limit(count).select("q.u", "q.w", "log_ratio")
 
 
+FEW_RECORDS = 2000
+
+
+def _bottleneck_in_one_task(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    held = list(frames)
+    if not held:
+        return
+    edges = pd.concat(held)
+    ids, at = np.unique(edges[["u", "w"]].to_numpy(), return_inverse=True)
+    a, b = at.reshape(-1, 2).T
+    pos, neg = kernels.bottleneck(len(ids), a, b, edges["p"].to_numpy())
+    i, j = np.nonzero(np.triu((pos > 0) | (neg > 0), 1))
+    yield pd.DataFrame({"u": ids[i], "w": ids[j], "pos": pos[i, j], "neg": neg[i, j], "decision": pos[i, j] > neg[i, j]})
+
+
 def bottleneck_relation(edges: DataFrame, records: DataFrame) -> DataFrame:
     """Rows ``(u, w, pos, neg, decision)`` of record pairs that a positive or winning negative path joins.
 
     Votes make the weights few, so positive paths are components of the edges at each level, and a negative
-    path is one refusing edge between two components of its level. Small record sets only: rows are pairs.
+    path is one refusing edge between two components of its level. The result has a row for each pair, so it is
+    for record sets of experiments; small ones are one matrix in one task.
     """
+    if records.limit(FEW_RECORDS + 1).count() <= FEW_RECORDS:  # a matrix of records fits in one task
+        return edges.select("u", "w", "p").repartition(1).mapInPandas(_bottleneck_in_one_task, "u long, w long, pos double, neg double, decision boolean")
     edges = cut(edges.select("u", "w", "p", F.round("p", 9).alias("level"), F.round(1 - F.col("p"), 9).alias("refusal")), "edges")
     levels = sorted({r[0] for r in edges.select(F.explode(F.array("level", "refusal"))).distinct().collect() if r[0] > 0.5}, reverse=True)  # as many as votes for a pair
     found = None

@@ -37,6 +37,22 @@ def components(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return label
 
 
+def bottleneck(n: int, a: np.ndarray, b: np.ndarray, p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Matrices of the heaviest positive path and the heaviest winning negative path; a path weighs its weakest edge."""
+    q, r = np.round(p, 9), np.round(1 - p, 9)
+    pos, neg = np.zeros((n, n)), np.zeros((n, n))
+    for at in np.unique(np.concatenate([q, r])):  # from weak to strong, so that the strongest stays
+        if at > 0.5:
+            label = components(n, a[q >= at], b[q >= at])
+            same = label[:, None] == label[None, :]
+            pos[same] = at
+            met = np.zeros((n, n), bool)
+            met[label[a[r >= at]], label[b[r >= at]]] = True
+            met |= met.T
+            neg[met[label][:, label] & ~same] = at
+    return pos, neg
+
+
 def log_odds(p: np.ndarray) -> np.ndarray:
     q = np.clip(p, 1e-9, 1 - 1e-9)
     return np.round(np.log(q) - np.log1p(-q), 12)

@@ -79,8 +79,8 @@ def edgeless_candidates(lab: DataFrame, clusters: DataFrame, count: int, k: Conf
     """At most ``count`` cluster pairs without an asked edge, from neighbours in ``count`` hash orders' windows."""
     heads = clusters.select("cid").distinct().withColumn("h", unit_hash(k.seed, F.col("cid"))).withColumn("bin", F.floor(F.col("h") * 64))
     line = Window.partitionBy("bin").orderBy("h", "cid")
-    near = F.concat(*(F.array(F.lead("cid", d).over(line)) for d in range(1, min(count, 8) + 1)))
-    pairs = heads.select("cid", F.explode(near).alias("other")).where("other IS NOT NULL").select(F.least("cid", "other").alias("c1"), F.greatest("cid", "other").alias("c2"))
+    near = F.array(*(F.lead("cid", d).over(line) for d in range(1, min(count, 8) + 1)))
+    pairs = heads.select("cid", near.alias("near")).select("cid", F.explode("near").alias("other")).where("other IS NOT NULL").select(F.least("cid", "other").alias("c1"), F.greatest("cid", "other").alias("c2"))
     met = lab.where(~F.col("is_yes")).select(F.least("cu", "cw").alias("c1"), F.greatest("cu", "cw").alias("c2")).distinct()
     free = pairs.distinct().join(met, ["c1", "c2"], "left_anti")
     return free.orderBy(unit_hash(k.seed, F.col("c1"), F.col("c2")), "c1", "c2").limit(count).select(F.lit("edgeless").alias("kind"), "c1", "c2", F.col("c1").alias("u"), F.col("c2").alias("w"), F.lit(float(-np.log10(k.eps))).alias("prio"))

@@ -181,25 +181,9 @@ class Bottleneck:
     def __init__(self, pool: Pool):
         self.pool = pool
 
-    def relation(self) -> tuple[np.ndarray, np.ndarray]:
-        p = self.pool
-        a, b, q = p.edges(p.ratio)
-        q = np.round(q, 9)
-        pos, neg = np.zeros((p.n, p.n)), np.zeros((p.n, p.n))
-        for at in sorted({x for x in np.unique(np.concatenate([q, np.round(1 - q, 9)])) if x > 0.5}):
-            label = components(p.n, a[q >= at], b[q >= at])
-            same = label[:, None] == label[None, :]
-            pos[same] = at
-            refusing = np.round(1 - q, 9) >= at
-            met = np.zeros((p.n, p.n), bool)
-            met[label[a[refusing]], label[b[refusing]]] = True
-            met |= met.T
-            neg[met[label][:, label] & ~same] = at
-        return pos, neg
-
     def cluster(self, label, fresh):
         p = self.pool
-        self.pos, self.neg = self.relation()
+        self.pos, self.neg = kernels.bottleneck(p.n, *p.edges(p.ratio))
         x, y = np.nonzero(np.triu(self.pos > self.neg, 1))
         return components(p.n, x, y), True
 
