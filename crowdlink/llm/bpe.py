@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 #: Words whose tokens a worker remembers; then it forgets them all.
-REMEMBERED_WORDS = 400_000
+REMEMBERED_WORDS = 200_000
 _NEVER = 1 << 62
 #: Beyond Latin letters and usual punctuation.
 _RARE = regex.compile("[^\x00-\u024f\u2010-\u2027]")
@@ -90,9 +90,15 @@ class PairEncoder:
         self.letter_ids = [self.vocab[c] for c in letters]
         self.last_ids = [self.vocab[c + self.end_mark] for c in letters]
         self.byte_of = {c: b for b, c in enumerate(letters)}
-        self.library = Tokenizer.from_file(path)
+        self.path, self._library = path, None
         self.known: dict[str, tuple[int, ...]] = {}
 
+    @property
+    def library(self) -> Tokenizer:
+        if self._library is None:  # few texts need it
+            self._library = Tokenizer.from_file(self.path)
+        return self._library
+
     @staticmethod
     def normal(text: str) -> str:
         """NFC and lower case letter by letter (a final sigma is no special case)."""

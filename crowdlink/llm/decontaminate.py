@@ -26,7 +26,7 @@ from crowdlink.llm.fm_index import FmIndex
 
 WORD = re.compile(rb"[0-9a-z\x80-\xff]+")
 #: Bytes of text in a shard, and of benchmark text that a task holds at a time.
-SHARD_BYTES = 12 << 20
+SHARD_BYTES = 6 << 20
 BLOCK_BYTES = 16 << 20
 #: Occurrences that are located at a time.
 LOCATED = 1 << 20
