@@ -14,7 +14,7 @@ millions of lines share costs no pairs. The word edit distance to the partner is
 
 Defined results: a null text has no lines and stays null; rows of one id and text are treated alike;
 a null id is an id of its own that comes first; an empty table gives no rows; extra columns are kept by
-``rewrite`` and must not be named ``kept_lines`` or ``text_hash``.
+``rewrite``.
 """
 
 from __future__ import annotations
@@ -149,10 +149,9 @@ def kept_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
 
 
 def _with_kept(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    kept = kept_lines(docs, id_col, text_col)
-    mine = docs.withColumn("text_hash", F.xxhash64(text_col))
-    met = mine[id_col].eqNullSafe(kept["doc"]) & (mine["text_hash"] == kept["th"])
-    return mine.join(kept, met, "left").drop("doc", "th")
+    kept = kept_lines(docs.select(id_col, text_col), id_col, text_col).select(F.col("doc").alias("__doc"), F.col("th").alias("__th"), F.col("kept_lines").alias("__kept"))
+    mine = docs.withColumn("__hash", F.xxhash64(text_col))
+    return mine.join(kept, mine[id_col].eqNullSafe(kept["__doc"]) & (mine["__hash"] == kept["__th"]), "left")
 
 
 def rewrite(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -160,7 +159,7 @@ def rewrite(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
 
     def without(lines: Column) -> Column:
         blank = F.filter(F.sequence(F.lit(0), F.size(lines) - 1), lambda i: F.trim(F.get(lines, i)) == "")
-        stay = F.array_sort(F.array_union(blank, F.coalesce("kept_lines", F.expr("cast(array() as array<int>)"))))
+        stay = F.array_sort(F.array_union(blank, F.coalesce("__kept", F.expr("cast(array() as array<int>)"))))
         return F.array_join(F.transform(stay, lambda i: F.get(lines, i)), "\n")
 
     text = let(F.split(text_col, "\n"), without)
