@@ -309,7 +309,7 @@ def reliability_gold(spark, sf_dir):
     return rounded(R.reliability(event_lab(spark, sf_dir), W.gold_clusters(W.event_gold(spark))), "inside", "across", "edgeless", "reliability", digits=6)
 
 
-@query(EVENTS + "SELECT c1, c2, n_edges, round(disc, 8) AS disc, round(-log10(greatest(disc, 1e-9)), 8) AS prio, rank() OVER (ORDER BY round(disc, 9)) AS place FROM disc")
+@query(EVENTS + "SELECT c1, c2, n_edges, round(disc, 8) AS disc, round(0 - log10(greatest(disc, 1e-9)), 8) AS prio, rank() OVER (ORDER BY round(disc, 9)) AS place FROM disc")
 def weakest_pairs_rank(spark, sf_dir):
     from pyspark.sql import Window
 
@@ -327,7 +327,7 @@ def gain_curve(spark, sf_dir):
 GAP = """, cand AS (SELECT least(a.cid, b.cid) AS c1, greatest(a.cid, b.cid) AS c2, CASE WHEN a.cid < b.cid THEN a.rid ELSE b.rid END AS ra, CASE WHEN a.cid < b.cid THEN b.rid ELSE a.rid END AS rb
           FROM gold a JOIN gold b ON a.rid < b.rid AND a.cid <> b.cid LEFT JOIN edges e ON e.u = a.rid AND e.w = b.rid WHERE e.u IS NULL),
 rep AS (SELECT c1, c2, min((ra, rb)) AS m FROM cand GROUP BY c1, c2),
-top AS (SELECT disc.c1, disc.c2, least(m[1], m[2]) AS u, greatest(m[1], m[2]) AS w, -log10(greatest(disc, 1e-9)) AS prio FROM disc JOIN rep USING (c1, c2))
+top AS (SELECT disc.c1, disc.c2, least(m[1], m[2]) AS u, greatest(m[1], m[2]) AS w, 0 - log10(greatest(disc, 1e-9)) AS prio FROM disc JOIN rep USING (c1, c2))
 """
 
 

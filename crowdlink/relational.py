@@ -117,9 +117,9 @@ def agg_distinct(spark, sf_dir):
     return t(spark, sf_dir, "events").groupBy("event_type").agg(F.countDistinct("user_id").alias("users"))
 
 
-@query("SELECT s_nationkey, round(product(0.5 + s_acctbal / 40000), 6) AS p FROM supplier GROUP BY 1")
+@query("SELECT s_nationkey, round(product(0.5 + s_acctbal / 40000), 9) AS p FROM supplier GROUP BY 1")
 def agg_product(spark, sf_dir):
-    return t(spark, sf_dir, "supplier").groupBy("s_nationkey").agg(F.round(F.product(0.5 + F.col("s_acctbal") / 40000), 6).alias("p"))
+    return t(spark, sf_dir, "supplier").groupBy("s_nationkey").agg(F.round(F.product(0.5 + F.col("s_acctbal") / 40000), 9).alias("p"))
 
 
 @query("SELECT s_nationkey, max(s_acctbal) AS most, arg_max(s_suppkey, (s_acctbal, s_suppkey)) AS who FROM supplier GROUP BY 1")
@@ -280,10 +280,10 @@ def udf_scalar(spark, sf_dir):
     return t(spark, sf_dir, "events").where("event_id < 200").select("event_id", udx.digit_sum("props").alias("s"))
 
 
-@query("SELECT s_nationkey, round(1 - product(1 - (s_acctbal + 1000) / 20000), 6) AS p FROM supplier GROUP BY 1")
+@query("SELECT s_nationkey, round(1 - product(1 - (s_acctbal + 1000) / 20000), 9) AS p FROM supplier GROUP BY 1")
 def udaf_noisy_or(spark, sf_dir):
     s = t(spark, sf_dir, "supplier").select("s_nationkey", ((F.col("s_acctbal") + 1000) / 20000).alias("x"))
-    return s.groupBy("s_nationkey").agg(F.round(udx.noisy_or("x"), 6).alias("p"))
+    return s.groupBy("s_nationkey").agg(F.round(udx.noisy_or("x"), 9).alias("p"))
 
 
 @query("SELECT a.n_nationkey::BIGINT AS u, b.n_nationkey::BIGINT AS w FROM nation a JOIN nation b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey")
