@@ -111,3 +111,18 @@ def mutual_best(links: DataFrame, rounds: int = 60) -> DataFrame:
     if label is None:
         return nodes.select("id", F.col("id").alias("to"))
     return nodes.join(label, "id", "left").select("id", F.coalesce("to", "id").alias("to"))
+
+
+def local_move(edges: DataFrame, records: DataFrame) -> DataFrame:
+    """Another heuristic: single records move while the likelihood rises; components of positive edges apart."""
+    links = with_odds(edges)
+    member = components(links.where("odds > 0")).withColumnRenamed("component", "comp")
+    inside = links.join(member.withColumnsRenamed({"id": "u", "comp": "cu"}), "u").join(member.withColumnsRenamed({"id": "w", "comp": "cw"}), "w").where("cu = cw")
+
+    def one(g: pd.DataFrame) -> pd.DataFrame:
+        nodes, n = np.unique(g[["u", "w"]].to_numpy(), return_inverse=True)
+        a, b = n.reshape(-1, 2).T
+        return pd.DataFrame({"rid": nodes, "to": nodes[kernels.local_moves(len(nodes), a, b, g["odds"].to_numpy())]})
+
+    found = inside.select(F.col("cu").alias("comp"), "u", "w", "odds").groupBy("comp").applyInPandas(one, "rid long, to long")
+    return records.select("rid").join(found, "rid", "left").select("rid", F.coalesce("to", "rid").alias("cid"))

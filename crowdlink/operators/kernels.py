@@ -88,6 +88,32 @@ def agglomerate(n: int, a: np.ndarray, b: np.ndarray, odds: np.ndarray) -> np.nd
     return label
 
 
+def local_moves(n: int, a: np.ndarray, b: np.ndarray, odds: np.ndarray, sweeps: int = 50) -> np.ndarray:
+    """From singletons, move records one by one to the neighbouring cluster of greatest summed odds while that helps."""
+    near: list[list[tuple[int, float]]] = [[] for _ in range(n)]
+    for x, y, o in zip(a.tolist(), b.tolist(), odds.tolist(), strict=True):
+        near[x].append((y, o))
+        near[y].append((x, o))
+    label = list(range(n))
+    for _ in range(sweeps):
+        moved = False
+        for x in range(n):
+            pull: dict[int, float] = {}
+            for y, o in near[x]:
+                pull[label[y]] = pull.get(label[y], 0.0) + o
+            own = pull.get(label[x], 0.0)
+            best = max(((o, -c) for c, o in pull.items()), default=(0.0, 0))
+            if best[0] > max(own, 0.0) + 1e-12:
+                label[x], moved = -best[1], True
+            elif own < -1e-12:
+                label[x], moved = next(c for c in range(n) if c not in label), True
+        if not moved:
+            break
+    out = np.array(label)
+    least = {c: int(np.flatnonzero(out == c)[0]) for c in set(label)}
+    return np.array([least[c] for c in label])
+
+
 def partitions(n: int):
     """All partitions of n records as label tuples, first occurrence in order."""
 

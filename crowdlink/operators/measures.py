@@ -43,3 +43,9 @@ def recluster_rate(rounds: DataFrame) -> DataFrame:
 def over_runs(rounds: DataFrame) -> DataFrame:
     """Mean and deviation of F1 over seeds."""
     return rounds.groupBy("workload", "method", "round").agg(F.avg("f1").alias("f1"), F.stddev("f1").alias("f1_sd"), F.avg("n_next").alias("n_next"), F.count("*").alias("runs"))
+
+
+def question_cost(rounds: DataFrame) -> DataFrame:
+    """Distinct pairs asked by each run: the initial ones, the next ones, and all."""
+    last = rounds.groupBy("workload", "method", "seed", "batch", "initial", "err").agg(F.max("n_initial").alias("n_initial"), F.max("n_next").alias("n_next"))
+    return last.withColumn("total", F.col("n_initial") + F.col("n_next"))
