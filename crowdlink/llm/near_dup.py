@@ -36,7 +36,7 @@ WIDTH, LEAST = 5, 0.8
 #: 32 bands of 4 registers: a pair of similarity 0.8 shares none with probability (1 - 0.8**4)**32, about 5e-8.
 BANDS, DEPTH = 32, 4
 #: Bytes of text that are worked on at a time.
-PIECE = 2 << 20
+PIECE = 1 << 20
 
 
 def pieces(batch: pa.RecordBatch, *columns: int) -> Iterator[pa.RecordBatch]:
@@ -167,9 +167,9 @@ def differing(x: str, y: str) -> Column:
 
 
 def differing_bound(least: float) -> int:
-    """6.5 deviations above what a pair of similarity ``least`` is expected to show: missed less often than by the bands."""
+    """Five deviations above what a pair of similarity ``least`` is expected to show: missed about as rarely as by the bands."""
     p = (1 - least) * 15 / 16
-    return int(BANDS * DEPTH * p + 6.5 * (BANDS * DEPTH * p * (1 - p)) ** 0.5)
+    return int(BANDS * DEPTH * p + 5 * (BANDS * DEPTH * p * (1 - p)) ** 0.5)
 
 
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least: float = LEAST) -> DataFrame:
@@ -203,18 +203,26 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lea
         most = F.least(f"{u}.shared", f"{v}.shared")  # no more can overlap
         return most >= (F.col(f"{u}.n") + F.col(f"{v}.n") - most) * least
 
-    # the member with the least of its own stands in the middle of its bucket
-    middle = open_.groupBy("key").agg(F.min(F.struct((-F.col("shared") / F.col("n")).alias("r"), "rep", "n", "shared")).alias("m")).select("key", "m.rep", "m.n", "m.shared")
-    second = open_.alias("x").join(middle.alias("m"), "key").where((F.col("x.rep") != F.col("m.rep")) & (F.col("m.rep") != F.col("x.head")) & link("x", "m"))
-    found = overlap(second.select(F.col("m.rep").alias("a"), F.col("x.rep").alias("b")).distinct(), texts)
+    # the member with the least of its own, of all buckets with one head, stands in the middle of them
+    member = cut(open_.select("head", "rep", "n", "far", "shared").distinct(), "members")
+    middle = member.groupBy("head").agg(F.min(F.struct((-F.col("shared") / F.col("n")).alias("r"), "rep", "n", "shared")).alias("m")).select("head", "m.rep", "m.n", "m.shared")
+    second = member.alias("x").join(middle.alias("m"), "head").where((F.col("x.rep") != F.col("m.rep")) & link("x", "m"))
+    found = cut(overlap(second.select(F.col("m.rep").alias("a"), F.col("x.rep").alias("b")).distinct(), texts), "overlaps")
     links = cut(links.unionByName(found.where(F.col("similarity") >= least).select(F.col("a").alias("u"), F.col("b").alias("w"))), "links")
     label = cut(components(links), "classes")
     # whatever is still apart and could be linked is compared
-    open_ = _mixed(open_, label).where("rep <> head").select("head", "rep", "n", "far", "shared", "component").distinct()
-    open_ = cut(open_.join(reps.select("rep", "sketch"), "rep"), "open")
-    near = F.coalesce(F.abs(F.col("x.far") - F.col("y.far")) <= 1 - least + 1e-9, F.lit(True)) & link("x", "y") & (differing("x.sketch", "y.sketch") <= differing_bound(least))
-    third = open_.alias("x").join(open_.alias("y"), (F.col("x.head") == F.col("y.head")) & (F.col("x.rep") < F.col("y.rep")) & (F.col("x.component") != F.col("y.component")) & near)
-    third = cut(third.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b")).distinct(), "pairs")
+    open_ = _mixed(open_, label).where("rep <> head").select("head", "rep", "component").distinct().join(member, ["head", "rep"])
+    open_ = open_.join(middle.select("head", F.col("rep").alias("a")), "head").join(found.select("a", F.col("b").alias("rep"), (1 - F.col("similarity")).alias("off")), ["a", "rep"], "left")
+    heads = open_.groupBy("rep").agg(F.collect_set("head").alias("heads"))  # as many as bands at most
+    open_ = cut(open_.join(reps.select("rep", "sketch"), "rep").join(heads, "rep"), "open")
+    near = link("x", "y") & (differing("x.sketch", "y.sketch") <= differing_bound(least))
+    for d in ("far", "off"):  # distances to the head and to the middle
+        near = near & F.coalesce(F.abs(F.col(f"x.{d}") - F.col(f"y.{d}")) <= 1 - least + 1e-9, F.lit(True))
+    once = F.array_min(F.array_intersect("x.heads", "y.heads")) == F.col("x.head")  # of the heads that both have, one brings the pair
+    third = open_.alias("x").join(open_.alias("y"), (F.col("x.head") == F.col("y.head")) & (F.col("x.rep") < F.col("y.rep")) & (F.col("x.component") != F.col("y.component")) & near & once)
+    third = third.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"))
+    known = first.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).union(found.select(F.least("a", "b"), F.greatest("a", "b")))
+    third = cut(third.join(known, ["a", "b"], "left_anti"), "pairs")  # no pair is compared twice
     if not third.isEmpty():
         more = overlap(third, texts).where(F.col("similarity") >= least).select(F.col("a").alias("u"), F.col("b").alias("w"))
         label = cut(components(links.unionByName(more)), "classes")
