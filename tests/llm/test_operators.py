@@ -188,6 +188,21 @@ def test_lm_scores(spark):
     assert lm_score.score(docs_of(spark, texts).limit(0)).count() == 0
 
 
+def test_lm_learns_from_every_document(spark):
+    from pyspark.sql import functions as F
+
+    ids = [r.id for r in spark.range(2000).orderBy(F.xxhash64("id")).collect()]
+    late = set(ids[1800:])  # beyond any sample of the first training documents
+
+    def score_of(swapped):
+        rows = [(k, "q p p p" if swapped and k in late else "p p p q", "x", 7, None) for k in range(2000)]
+        held = min(k for k in range(2000) if k not in late and zlib.crc32(str(k).encode()) % 7 == 2)
+        return lm_score.score(spark.createDataFrame(rows, DOCS)).where(f"id = {held}").first()
+
+    plain, other = score_of(False), score_of(True)
+    assert plain.base_score == other.base_score and plain.score != other.score
+
+
 # 4
 
 
