@@ -3,8 +3,7 @@
 ``scc`` merges greedily by summed log-odds. Two records whose positive edges do not connect them never
 merge, so components are independent; inside a component, pairs that out-weigh everything else at both ends
 together merge in parallel without changing what the greedy order would do. Only the residue of a component
-goes to one task, and a residue beyond the size limit is merged by rounds of mutual best partners, which is
-reported as approximate.
+goes to one task; a residue beyond the size limit follows the same greedy order block by block.
 """
 
 from __future__ import annotations
@@ -78,7 +77,7 @@ def scc(edges: DataFrame, records: DataFrame, k: Config = Config()) -> DataFrame
 
     rest = inside.join(large, "comp", "left_anti").groupBy("comp").applyInPandas(one, "id long, to long")
     if not large.isEmpty():
-        rest = rest.unionByName(mutual_best(inside.join(large, "comp", "left_semi").select("u", "w", "odds")))
+        rest = rest.unionByName(greedy_blocks(inside.join(large, "comp", "left_semi").select("u", "w", "odds"), k.max_component))
     rest = rest.where("id <> to")
     label = rest if label is None else _follow(label, rest)
     out = records.select("rid").join(label.withColumnRenamed("id", "rid"), "rid", "left").select("rid", F.coalesce("to", "rid").alias("root"))
@@ -91,26 +90,63 @@ def _follow(label: DataFrame, step: DataFrame) -> DataFrame:
     return label.join(onward, "to", "left").select("id", F.coalesce("further", "to").alias("to")).unionByName(step)
 
 
-def mutual_best(links: DataFrame, rounds: int = 60) -> DataFrame:
-    """Approximate labels (id, to): each round merges the pairs that are each other's best partner."""
+def greedy_blocks(links: DataFrame, most: int) -> DataFrame:
+    """Labels (id, to) of the exact greedy order, with at most ``most`` links in a task.
+
+    The order of pairs is (-odds, u, w), and the place of a node is that of its first pair. A block is the first
+    nodes with all their links, so every pair before the first place outside is between nodes of the block. The
+    block's task merges until a pair is not before that place, or has an end outside; the graph is contracted,
+    and the next block follows. Every block merges the first pair of all, so this ends with the positive pairs.
+    """
     label: DataFrame | None = None
-    nodes = cut(links.select(F.col("u").alias("id")).union(links.select(F.col("w"))).distinct(), "nodes")
-    for _ in range(rounds):
-        pos = links.where("odds > 0")
-        if pos.isEmpty():
-            break
-        both = pos.select(F.col("u").alias("c"), F.col("w").alias("d"), "odds").union(pos.select("w", "u", "odds"))
-        best = both.groupBy("c").agg(F.max_by("d", F.struct("odds", -F.col("d"))).alias("d"))
-        other = best.select(F.col("d").alias("c"), F.col("c").alias("d"))
-        merged = cut(best.join(other, ["c", "d"]).where("c < d").select(F.col("c").alias("u"), F.col("d").alias("w")), "merged")
-        if merged.isEmpty():
+
+    def merge(whole: dict[int, bool] | None, bound: tuple | None):
+        def one(g: pd.DataFrame) -> pd.DataFrame:
+            nodes, n = np.unique(g[["u", "w"]].to_numpy(), return_inverse=True)
+            a, b = n.reshape(-1, 2).T
+            full = None if whole is None else np.array([x in whole for x in nodes.tolist()])
+            stop = None if bound is None else (bound[0], *np.searchsorted(nodes, bound[1:]).tolist())
+            return pd.DataFrame({"u": nodes, "w": nodes[kernels.agglomerate(len(nodes), a, b, g["odds"].to_numpy(), full, stop)]}).query("u != w").rename(columns={"u": "w", "w": "u"})[["u", "w"]]
+
+        return one
+
+    while True:
+        # a cluster without a positive link never gets one again
+        pos = links.where("odds > 1e-12").select("u", "w", (-F.col("odds")).alias("o"))
+        ends = F.explode(F.array("u", "w")).alias("id")
+        place = cut(pos.select(ends, F.struct("o", "u", "w").alias("at")).groupBy("id").agg(F.min("at").alias("at")), "places")
+        if place.isEmpty():
             break
-        links = cut(_contract(links, merged), "links")
+        links = cut(links.join(place.select(F.col("id").alias("u")), "u", "left_semi").join(place.select(F.col("id").alias("w")), "w", "left_semi").select("u", "w", "odds"), "links")
+        last = links.count() <= most
+        if last:
+            merged = links.groupBy().applyInPandas(merge(None, None), "u long, w long")
+        else:
+            degree = links.select(ends).groupBy("id").agg(F.count("*").alias("links"))
+            first = place.join(degree, "id").orderBy("at", "id").limit(10_000).collect()  # bounded
+            total, block, bound = 0, {}, tuple(first[-1]["at"])
+            for r in first[:-1]:
+                total += r["links"]
+                if total > most:
+                    bound = tuple(r["at"])
+                    break
+                block[r["id"]] = True
+            if len(block) < 2 or bound == tuple(first[0]["at"]):  # the first pair alone
+                merged = links.sparkSession.createDataFrame([tuple(first[0]["at"])[1:]], "u long, w long")
+            else:
+                own = links.sparkSession.createDataFrame([(x,) for x in block], "id long")
+                u, w = (F.broadcast(own.select(F.col("id").alias(c), F.lit(True).alias(f"in_{c}"))) for c in ("u", "w"))
+                near = links.join(u, "u", "left").join(w, "w", "left").where("in_u OR in_w").select("u", "w", "odds")
+                merged = near.groupBy().applyInPandas(merge(block, bound), "u long, w long")
+        merged = cut(merged, "merged")
         step = merged.select(F.col("w").alias("id"), F.col("u").alias("to"))
         label = cut(step if label is None else _follow(label, step), "labels")
+        if last:
+            break
+        links = _contract(links, merged)
     if label is None:
-        return nodes.select("id", F.col("id").alias("to"))
-    return nodes.join(label, "id", "left").select("id", F.coalesce("to", "id").alias("to"))
+        return links.select(F.col("u").alias("id"), F.col("u").alias("to")).limit(0)
+    return label
 
 
 def local_move(edges: DataFrame, records: DataFrame) -> DataFrame:

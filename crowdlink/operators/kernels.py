@@ -58,8 +58,12 @@ def log_odds(p: np.ndarray) -> np.ndarray:
     return np.round(np.log(q) - np.log1p(-q), 12)
 
 
-def agglomerate(n: int, a: np.ndarray, b: np.ndarray, odds: np.ndarray) -> np.ndarray:
-    """Greedy merging of the pair of clusters of greatest summed odds while it is positive; ties by least ids."""
+def agglomerate(n: int, a: np.ndarray, b: np.ndarray, odds: np.ndarray, whole: np.ndarray | None = None, bound: tuple[float, float, float] | None = None) -> np.ndarray:
+    """Greedy merging of the pair of clusters of greatest summed odds while it is positive; ties by least ids.
+
+    It stops before a pair (-odds, x, y) that does not precede ``bound``, or that has an end whose links are
+    not all given (not ``whole``).
+    """
     links: list[dict[int, float]] = [{} for _ in range(n)]
     for x, y, o in zip(a.tolist(), b.tolist(), odds.tolist(), strict=True):
         links[x][y] = links[x].get(y, 0.0) + o
@@ -71,6 +75,8 @@ def agglomerate(n: int, a: np.ndarray, b: np.ndarray, odds: np.ndarray) -> np.nd
         o, x, y = heapq.heappop(heap)
         if not (alive[x] and alive[y]) or links[x].get(y) != -o:
             continue
+        if (bound is not None and (o, x, y) >= bound) or (whole is not None and not (whole[x] and whole[y])):
+            break
         alive[y] = False
         label[y] = x
         del links[x][y]

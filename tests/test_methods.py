@@ -63,6 +63,19 @@ def test_clustering_equals_global_greedy(spark, mode):
     assert found == expected
 
 
+def test_blocks_of_a_large_component_keep_the_greedy_order(spark):
+    rng = np.random.default_rng(8)
+    pairs = [x for x in itertools.combinations(range(18), 2) if rng.random() < 0.6]
+    p = rng.integers(0, 6, len(pairs)) / 5
+    a, b = (np.array(x) for x in zip(*pairs, strict=True))
+    labels = kernels.agglomerate(18, a, b, kernels.log_odds(p)).tolist()
+    records = spark.createDataFrame([(r,) for r in range(18)], "rid long")
+    edges = edges_of(spark, [(x, y, q) for (x, y), q in zip(pairs, p.tolist(), strict=True)])
+    for most in (60, 20):  # several nodes in a block; single pairs
+        found = {r.rid: r.cid for r in clustering.scc(edges, records, Config(scc_mode="exact", max_component=most)).collect()}
+        assert [found[n] for n in range(18)] == labels
+
+
 def test_unsafe_contraction_example():
     a, b = np.array([0, 0, 1, 2, 1]), np.array([1, 2, 2, 3, 3])
     labels = kernels.agglomerate(4, a, b, np.array([5, 4.9, 4.9, 6, -11.0]))
