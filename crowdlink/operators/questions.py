@@ -2,7 +2,7 @@
 
 A unit is a cluster (its unasked inside pairs differ in gain) or a pair of clusters (all its pairs gain the
 same, so one stands for it). Cluster pairs without an asked edge all share the greatest gain; they are a
-class of their own and are never enumerated: a bounded number is drawn next to each other in hash order.
+class of their own: as many as are needed are drawn by their distance in hash order.
 """
 
 from __future__ import annotations
@@ -16,6 +16,7 @@ from crowdlink.config import Config
 from crowdlink.operators import kernels
 from crowdlink.operators.reliability import disconnect, floor_log
 from crowdlink.operators.votes import unit_hash
+from crowdlink.storage import cut
 
 
 def across_units(lab: DataFrame, k: Config = Config()) -> DataFrame:
@@ -76,14 +77,27 @@ def across_candidates(lab: DataFrame, clusters: DataFrame, k: Config = Config())
 
 
 def edgeless_candidates(lab: DataFrame, clusters: DataFrame, count: int, k: Config = Config()) -> DataFrame:
-    """At most ``count`` cluster pairs without an asked edge, from neighbours in ``count`` hash orders' windows."""
-    heads = clusters.select("cid").distinct().withColumn("h", unit_hash(k.seed, F.col("cid"))).withColumn("bin", F.floor(F.col("h") * 64))
-    line = Window.partitionBy("bin").orderBy("h", "cid")
-    near = F.array(*(F.lead("cid", d).over(line) for d in range(1, min(count, 8) + 1)))
-    pairs = heads.select("cid", near.alias("near")).select("cid", F.explode("near").alias("other")).where("other IS NOT NULL").select(F.least("cid", "other").alias("c1"), F.greatest("cid", "other").alias("c2"))
-    met = lab.where(~F.col("is_yes")).select(F.least("cu", "cw").alias("c1"), F.greatest("cu", "cw").alias("c2")).distinct()
-    free = pairs.distinct().join(met, ["c1", "c2"], "left_anti")
-    return free.orderBy(unit_hash(k.seed, F.col("c1"), F.col("c2")), "c1", "c2").limit(count).select(F.lit("edgeless").alias("kind"), "c1", "c2", F.col("c1").alias("u"), F.col("c2").alias("w"), F.lit(float(-np.log10(k.eps))).alias("prio"))
+    """``count`` cluster pairs without an asked edge, or all of them if they are fewer.
+
+    Clusters stand in hash order, and pairs are met by the distance of their places. Of m pairs with an asked
+    edge at most m are in the way, so the first distances that hold m + ``count`` pairs hold enough.
+    """
+    met = cut(lab.where(~F.col("is_yes")).select(F.least("cu", "cw").alias("c1"), F.greatest("cu", "cw").alias("c2")).distinct(), "met")
+    order = cut(clusters.select("cid").distinct().withColumn("h", unit_hash(k.seed, F.col("cid"))), "order")
+    n, m = order.count(), met.count()
+    far, held = 0, 0
+    while far < n - 1 and held < m + count:
+        far += 1
+        held += n - far
+    # places by counts of buckets of the hash, so that no single task sorts all clusters
+    bucket = F.floor(F.col("h") * 4096).cast("int")
+    sizes = order.groupBy(bucket.alias("bucket")).agg(F.count("*").alias("size"))
+    before = sizes.select("bucket", (F.sum("size").over(Window.orderBy("bucket")) - F.col("size")).alias("before"))  # 4,096 rows at most
+    at = cut(order.withColumn("bucket", bucket).join(before, "bucket").select("cid", (F.col("before") + F.row_number().over(Window.partitionBy("bucket").orderBy("h", "cid")) - 1).alias("at")), "places")
+    reach = at.withColumn("far", F.explode(F.sequence(F.lit(1), F.lit(far)))).select("cid", "far", (F.col("at") + F.col("far")).alias("at")) if far else at.select("cid", F.lit(0).alias("far"), "at").limit(0)
+    pairs = reach.join(at.withColumnRenamed("cid", "other"), "at").select(F.least("cid", "other").alias("c1"), F.greatest("cid", "other").alias("c2"), "far")
+    free = pairs.join(met, ["c1", "c2"], "left_anti")
+    return free.orderBy("far", unit_hash(k.seed, F.col("c1"), F.col("c2")), "c1", "c2").limit(count).select(F.lit("edgeless").alias("kind"), "c1", "c2", F.col("c1").alias("u"), F.col("c2").alias("w"), F.lit(float(-np.log10(k.eps))).alias("prio"))
 
 
 def next_questions(lab: DataFrame, clusters: DataFrame, count: int, k: Config = Config()) -> DataFrame:

@@ -225,3 +225,14 @@ def test_gap_representative_skips_asked_pairs(spark):
     assert [(x.u, x.w) for x in r] == [(1, 3)]
     full = votes.labelled(edges_of(spark, [(u, w, 0.1) for u in (0, 1) for w in (2, 3)]), clusters)
     assert questions.gap_representatives(reliability.disconnect(full), full, clusters).count() == 0
+
+
+def test_edgeless_pairs_are_all_found(spark):
+    clusters = clusters_of(spark, [[n] for n in range(9)])
+    every = list(itertools.combinations(range(9), 2))
+    lab = votes.labelled(edges_of(spark, [(u, w, 0.1) for u, w in every[:30]]), clusters)
+    for count, many in ((2, 2), (6, 6), (50, 6)):
+        found = {(r.c1, r.c2) for r in questions.edgeless_candidates(lab, clusters, count).collect()}
+        assert len(found) == many and found <= set(every[30:])
+    full = votes.labelled(edges_of(spark, [(u, w, 0.1) for u, w in every]), clusters)
+    assert questions.edgeless_candidates(full, clusters, 5).count() == 0
