@@ -117,13 +117,13 @@ def bottleneck_next(relation: DataFrame, pairs: DataFrame, edges: DataFrame, cou
     return free.select("u", "w", score.alias("score")).orderBy(F.desc("score"), "u", "w").limit(count)
 
 
-def pivot_clusters(edges: DataFrame, records: DataFrame, seed: int = 42, rounds: int = 40) -> DataFrame:
-    """[R] Pivot clustering in rounds: whoever comes first among its open positive neighbours is a pivot; open neighbours join the first pivot."""
+def pivot_clusters(edges: DataFrame, records: DataFrame, seed: int = 42) -> DataFrame:
+    """[R] Pivot clustering in rounds until no record is open: whoever comes first among its open positive neighbours is a pivot; open neighbours join the first pivot."""
     pos = cut(edges.where("p > 0.5").select("u", "w"), "positive")
     both = pos.union(pos.select("w", "u")).select(F.col("u").alias("a"), F.col("w").alias("b"))
     left = cut(records.select("rid", unit_hash(seed, F.col("rid")).alias("h")), "open")
     done = None
-    for _ in range(rounds):
+    while done is None or not left.isEmpty():  # the first open record is always settled
         near = both.join(left.select(F.col("rid").alias("a"), F.col("h").alias("ha")), "a").join(left.select(F.col("rid").alias("b"), F.col("h").alias("hb")), "b")
         beaten = near.where(F.struct("hb", "b") < F.struct("ha", "a")).select(F.col("a").alias("rid")).distinct()
         pivots = cut(left.join(beaten, "rid", "left_anti"), "pivots")
@@ -131,8 +131,6 @@ def pivot_clusters(edges: DataFrame, records: DataFrame, seed: int = 42, rounds:
         new = cut(joins.unionByName(pivots.select("rid", F.col("rid").alias("root"))), "joined")
         done = new if done is None else done.unionByName(new)
         left = cut(left.join(new, "rid", "left_anti"), "open")
-        if left.isEmpty():
-            break
     least = done.groupBy("root").agg(F.min("rid").alias("cid"))
     return done.join(least, "root").select("rid", "cid")
 

@@ -4,6 +4,7 @@ import itertools
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from crowdlink.config import Config
 from crowdlink.graph import components
@@ -236,3 +237,10 @@ def test_edgeless_pairs_are_all_found(spark):
         assert len(found) == many and found <= set(every[30:])
     full = votes.labelled(edges_of(spark, [(u, w, 0.1) for u, w in every]), clusters)
     assert questions.edgeless_candidates(full, clusters, 5).count() == 0
+
+
+def test_pivots_settle_long_chains(spark):
+    order = [r.rid for r in spark.range(90).withColumnRenamed("id", "rid").orderBy(votes.unit_hash(42, F.col("rid")), "rid").collect()]
+    edges = edges_of(spark, [(min(x), max(x), 0.9) for x in itertools.pairwise(order)])  # two records settle in a round
+    records = spark.createDataFrame([(r,) for r in order], "rid long")
+    assert baselines.pivot_clusters(edges, records).count() == 90
