@@ -1,15 +1,18 @@
 """Near-duplicate vectors by spherical-cap filters: product codes, list decoding, join on filters, verify.
 
 A filter is a direction whose parts come from one small random codebook for each block of dimensions.
-A vector lies in every filter whose direction its own exceeds by ``cap``, and at least in its ``floor``
-best ones. Decoding walks the blocks and drops each beginning that even the best ends cannot lift high
-enough. Vectors of one (label, filter) are compared in blocks of bounded size with double-precision
-cosines, and a pair counts in the least filter that both share, so no pair counts twice.
-
-Vectors of the same bytes and label are one representative from the start. Defined results: null labels
-or vectors, zero vectors, and vectors that hold null or non-finite components link with nothing; vectors
-of different lengths do not link; an empty table gives no rows; repeated rows are copies of each other
-if their ids differ; extra columns do not matter.
+A vector lies in every filter whose direction its own exceeds by the cap; only a vector that lies in fewer
+than ``FLOOR`` of them takes its ``FLOOR`` best ones instead. The codebooks grow with the rows of the largest
+label, and the cap with the filters, so that a vector lies in about ``MEAN`` filters and a filter holds about
+``FILLED`` vectors at any size. Decoding walks the blocks, drops each beginning that even the best ends cannot
+lift high enough, and lists the ends of the last block from the best on. Vectors of one (label, filter) are
+compared in blocks of bounded size with double-precision cosines, and a pair counts in the least filter that
+both share, so no pair counts twice.
+
+Vectors of the same bytes and label are one representative from the start. Defined results: ids are whole
+numbers; null ids, null labels or vectors, zero vectors, and vectors that hold null or non-finite components
+link with nothing and are kept; vectors of different lengths do not link; an empty table gives no rows;
+repeated rows are copies of each other if their ids differ; extra columns do not matter.
 """
 
 from __future__ import annotations
@@ -25,7 +28,11 @@ from pyspark.sql import functions as F
 from crowdlink.graph import components
 from crowdlink.storage import cut
 
-BLOCKS, CODES, CAP, FLOOR, SEED = 2, 64, 0.4, 12, 20240101
+BLOCKS, CODES, SEED = 2, 64, 20240101  # CODES: of a block, at least
+#: Filters of a vector by the cap alone, filters that it takes at least, and vectors that share a filter.
+MEAN, FLOOR, FILLED = 24, 10, 256
+#: Vectors of fewer dimensions have one block, for its codes alone cover their few directions.
+FEW_DIMS = 8
 #: Vectors of a bucket that stand on one side of a comparison.
 SIDE = 512
 
@@ -33,15 +40,39 @@ SIDE = 512
 def codebooks(dims: int, blocks: int = BLOCKS, codes: int = CODES) -> list[np.ndarray]:
     """Unit directions for each block of dimensions, scaled so that a whole direction has length 1."""
     rng = np.random.default_rng([SEED, dims])
+    blocks = blocks if dims >= FEW_DIMS else 1
     out = []
-    for part in np.array_split(np.arange(dims), min(blocks, dims)):
+    for part in np.array_split(np.arange(dims), blocks):
         c = rng.standard_normal((codes, len(part)))
-        out.append(c / (np.linalg.norm(c, axis=1, keepdims=True) * np.sqrt(min(blocks, dims))))
+        out.append(c / (np.linalg.norm(c, axis=1, keepdims=True) * np.sqrt(blocks)))
     return out
 
 
-def decode(unit: np.ndarray, books: list[np.ndarray], cap: float = CAP, floor: int = FLOOR) -> tuple[np.ndarray, np.ndarray]:
+def codes_for(rows: int, blocks: int = BLOCKS) -> int:
+    """Codes of a block for so many vectors of one label: a power of two."""
+    codes = CODES
+    while codes**blocks * FILLED < rows * MEAN:
+        codes *= 2
+    return codes
+
+
+def cap_for(books: list[np.ndarray]) -> float:
+    """The cap above which a vector lies with about ``MEAN`` filters: the median score of the ``MEAN``-th best of random vectors."""
+    dims = sum(b.shape[1] for b in books)
+    unit = np.random.default_rng([SEED, dims, 1]).standard_normal((64, dims))
+    unit /= np.linalg.norm(unit, axis=1, keepdims=True)
+    row, _, score = _decode(unit, books, np.inf, MEAN)
+    least = np.full(len(unit), np.inf)
+    np.minimum.at(least, row, score)
+    return float(np.median(least))
+
+
+def decode(unit: np.ndarray, books: list[np.ndarray], cap: float, floor: int = FLOOR) -> tuple[np.ndarray, np.ndarray]:
     """Pairs (row, filter) of the filters that each unit vector lies in, in order."""
+    return _decode(unit, books, cap, floor)[:2]
+
+
+def _decode(unit: np.ndarray, books: list[np.ndarray], cap: float, floor: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     scores, at = [], 0
     for b in books:
         scores.append(unit[:, at : at + b.shape[1]] @ b.T)
@@ -52,28 +83,39 @@ def decode(unit: np.ndarray, books: list[np.ndarray], cap: float = CAP, floor: i
     for s, r in zip(scores, rest, strict=True):
         k = min(floor, s.shape[1])
         bound = np.minimum(bound, np.partition(s, -k, axis=1)[:, -k] + rest[0] - s.max(axis=1))
-    need = np.minimum(cap, bound) if len(books) > 1 else np.minimum(cap, np.partition(scores[0], -min(floor, scores[0].shape[1]), axis=1)[:, -min(floor, scores[0].shape[1])])
+    need = np.minimum(cap, bound)
     row, code, sum_ = np.arange(len(unit)), np.zeros(len(unit), np.int64), np.zeros(len(unit))
-    for n, s in enumerate(scores):
-        ahead = rest[n + 1] if n + 1 < len(scores) else np.zeros(len(unit))
+    for s, ahead in zip(scores[:-1], rest[1:], strict=True):
         grown = sum_[:, None] + s[row]
         r, c = np.nonzero(grown + ahead[row][:, None] >= need[row][:, None] - 1e-12)
         row, code, sum_ = row[r], code[r] * s.shape[1] + c, grown[r, c]
+    # the ends of the last block from the best on, found by bisection in rows that stand 4 apart
+    s = scores[-1]
+    best = np.argsort(-s, axis=1, kind="stable")
+    flat = (4.0 * np.arange(len(unit))[:, None] - np.take_along_axis(s, best, axis=1)).ravel()
+    ends = np.searchsorted(flat, 4.0 * row + np.clip(sum_ - need[row] + 1e-9, -1.9, 1.9), side="right") - row * s.shape[1]
+    r = np.repeat(np.arange(len(row)), ends)
+    c = best[row[r], np.arange(len(r)) - np.repeat(np.cumsum(ends) - ends, ends)]
+    row, code, sum_ = row[r], code[r] * s.shape[1] + c, sum_[r] + s[row[r], c]
     # now all above ``need``; of those keep what exceeds the cap, or the best ones
     order = np.lexsort((code, -sum_, row))
     row, code, sum_ = row[order], code[order], sum_[order]
     place = np.arange(len(row)) - np.searchsorted(row, row)
     kept = (sum_ >= cap) | (place < floor)
-    row, code = row[kept], code[kept]
+    row, code, sum_ = row[kept], code[kept], sum_[kept]
     order = np.lexsort((code, row))
-    return row[order], code[order]
+    return row[order], code[order], sum_[order]
+
 
+def _prepare(vectors: DataFrame, id_col: str, vec_col: str, label_col: str, codes: int) -> DataFrame:
+    """Rows ``(id, label, digest, vector, filters)``; the last three are null for vectors that link with nothing."""
+    step = max(64, 2048 * CODES // codes)  # vectors that are decoded at a time
 
-def _prepare(vectors: DataFrame, id_col: str, vec_col: str, label_col: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known: dict[int, tuple[list[np.ndarray], float]] = {}  # books and cap by dimensions
         for whole in batches:
-            for start in range(0, whole.num_rows, 2048):
-                batch = whole.slice(start, 2048)
+            for start in range(0, whole.num_rows, step):
+                batch = whole.slice(start, step)
                 values = [None if v is None or any(x is None for x in v) else np.asarray(v, np.float64) for v in batch.column(1).to_pylist()]
                 good = [v is not None and v.size > 0 and np.isfinite(v).all() and bool(v.any()) for v in values]
                 digests, packed, lists = [None] * len(values), [None] * len(values), [None] * len(values)
@@ -81,7 +123,10 @@ def _prepare(vectors: DataFrame, id_col: str, vec_col: str, label_col: str) -> D
                     rows = [n for n, g in enumerate(good) if g and len(values[n]) == dims]
                     x = np.stack([values[n] for n in rows])
                     x /= np.abs(x).max(axis=1, keepdims=True)
-                    row, code = decode(x / np.linalg.norm(x, axis=1, keepdims=True), codebooks(dims))
+                    if dims not in known:
+                        books = codebooks(dims, codes=codes)
+                        known[dims] = books, cap_for(books)
+                    row, code = decode(x / np.linalg.norm(x, axis=1, keepdims=True), *known[dims])
                     ends = np.searchsorted(row, np.arange(len(rows) + 1))
                     for k, n in enumerate(rows):
                         digests[n] = hashlib.blake2b((values[n] + 0.0).tobytes(), digest_size=16).digest()
@@ -189,7 +234,8 @@ def _compare_all(cells: DataFrame, least: float) -> DataFrame:
 
 def near_vectors(vectors: DataFrame, least: float = 0.98, id_col: str = "vec_id", vec_col: str = "embedding", label_col: str = "label") -> DataFrame:
     """Rows ``(id, n_links, component_id, kept)`` of every vector."""
-    ready = cut(_prepare(vectors, id_col, vec_col, label_col), "filters")
+    most = vectors.groupBy(label_col).agg(F.count("*").alias("rows")).agg(F.coalesce(F.max("rows"), F.lit(0))).first()[0]
+    ready = cut(_prepare(vectors, id_col, vec_col, label_col, codes_for(most)), "filters")
     able = F.col("digest").isNotNull() & F.col("label").isNotNull() & F.col("id").isNotNull()
     reps = ready.where(able).groupBy("label", "digest").agg(F.min("id").alias("id"), F.count("*").alias("copies"), F.any_value("vector").alias("vector"), F.any_value("filters").alias("filters"))
     reps = cut(reps, "representatives")
@@ -207,4 +253,4 @@ def near_vectors(vectors: DataFrame, least: float = 0.98, id_col: str = "vec_id"
     of_rep = of_rep.select("label", "digest", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"), F.coalesce("component", "id").alias("component_id"))
     linked = ready.where(able).join(of_rep, ["label", "digest"]).select("id", "n_links", "component_id")
     alone = ready.where(~able).select("id", F.lit(0).cast("long").alias("n_links"), F.col("id").alias("component_id"))
-    return linked.unionByName(alone).withColumn("kept", F.col("id") == F.col("component_id"))
+    return linked.unionByName(alone).withColumn("kept", F.col("id").eqNullSafe(F.col("component_id")))

@@ -7,12 +7,13 @@ solves ``sum p * exp(rate * score) = 1`` and whose constant comes from the clean
 Scoring: one linear scan finds all maximal segments of a text; each that is significant adds its
 evidence, and a logistic curve over the evidence, fitted to the same labelled texts, gives the score.
 
-Bounds: at most ``LABELLED`` labelled rows (those of the least hashed ids) are learned from, and the model
-keeps the ``TOKENS`` words of the clearest evidence; both are parameters. Everything else reads all rows.
+Bounds: at most ``LABELLED`` labelled rows (those of the least hashed ids) are learned from, a parameter; the
+model holds every word of clear evidence in them. Everything else reads all rows.
 
 Defined results: null and empty texts have no segment and get the score of no evidence; null labels and
 labels of unknown documents teach nothing; repeated labels of one document are averaged; without labels
-every score is 0; repeated documents get a row each; extra columns do not matter; whole texts are read.
+every score is that of no evidence; repeated documents get a row each; a null id is never held out; extra
+columns do not matter; texts of any length are read whole, in linear time; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -30,7 +31,7 @@ from pyspark.sql import functions as F
 
 from crowdlink.llm.decontaminate import words_of
 
-LABELLED, TOKENS = 20_000, 50_000
+LABELLED = 20_000
 #: Weight of the prior in tokens, the least clear z-value that counts, and the drift of every token.
 PRIOR, CLEAR, DRIFT = 20_000.0, 2.5, 0.15
 SIGNIFICANT = 3.0
@@ -45,29 +46,45 @@ class Model:
 
 
 def segments(values: list[float]) -> list[tuple[int, int, float]]:
-    """All maximal scoring segments (start, end, sum) of a sequence, in one pass with a stack of candidates."""
-    kept: list[tuple[int, int, float, float]] = []  # start, end, sum before it, sum at its end
+    """All maximal scoring segments (start, end, sum) of a sequence, in time linear in its length.
+
+    A candidate remembers the nearest earlier one that starts lower, so a search follows these links and never
+    meets what it has passed; where no earlier candidate starts lower, all of them are final and retire.
+    """
+    done: list[tuple[int, int, float]] = []
+    starts: list[int] = []
+    ends: list[int] = []
+    lows: list[float] = []  # sums before the candidates
+    highs: list[float] = []  # sums at their ends
+    lower: list[int] = []  # places of the nearest earlier candidates that start lower; -1 if there is none
     total = 0.0
     for n, v in enumerate(values):
         before, total = total, total + v
         if v <= 0:
             continue
-        start, low, high = n, before, total
-        while kept:
-            # the nearest candidate that starts lower; those between cannot be joined any more
-            k = len(kept) - 1
-            while k >= 0 and kept[k][2] >= low:
-                k -= 1
-            if k < 0 or kept[k][3] >= high:
+        start, low, k = n, before, len(lows) - 1
+        while True:
+            while k >= 0 and lows[k] >= low:
+                k = lower[k]
+            if k < 0 or highs[k] >= total:
                 break
-            start, low = kept[k][0], kept[k][2]
-            del kept[k:]
-        kept.append((start, n + 1, low, high))
-    return [(a, b, high - low) for a, b, low, high in kept]
-
-
-def passages(words: list[bytes], model: Model) -> list[tuple[int, int, float]]:
-    """Significant passages of word numbers with their evidence, and the best evidence first at (0, 0)."""
+            start, low, link = starts[k], lows[k], lower[k]
+            del starts[k:], ends[k:], lows[k:], highs[k:], lower[k:]
+            k = link
+        if k < 0 and lows:
+            done.extend((a, b, high - low_) for a, b, low_, high in zip(starts, ends, lows, highs, strict=True))
+            for held in (starts, ends, lows, highs, lower):
+                held.clear()
+        starts.append(start)
+        ends.append(n + 1)
+        lows.append(low)
+        highs.append(total)
+        lower.append(k)
+    return done + [(a, b, high - low) for a, b, low, high in zip(starts, ends, lows, highs, strict=True)]
+
+
+def candidates(words: list[bytes], model: Model) -> tuple[float, list[tuple[int, int, float]]]:
+    """What a chance segment of so many words would reach, and all maximal segments of word numbers with their scaled sums."""
     found = list(map(model.scores.get, words, repeat(0.0)))
     at = [n for n, v in enumerate(found) if v]
     # stretches of neutral words act as one negative value between the others
@@ -79,14 +96,15 @@ def passages(words: list[bytes], model: Model) -> list[tuple[int, int, float]]:
         values.append(found[n] - DRIFT)
         places.append(n)
         last = n + 1
-    spread = np.log(max(len(words), 1)) + model.log_k
-    best, out = 0.0, []
-    for a, b, s in segments(values):
-        evidence = model.rate * s - spread
-        best = max(best, s)
-        if evidence >= SIGNIFICANT:
-            out.append((places[a], places[b - 1] + 1, evidence))
-    return [(0, 0, model.rate * best - spread), *out]
+    return float(np.log(max(len(words), 1))), [(places[a], places[b - 1] + 1, model.rate * s) for a, b, s in segments(values)]
+
+
+def passages(words: list[bytes], model: Model) -> list[tuple[int, int, float]]:
+    """Significant passages of word numbers with their evidence, and the best evidence first at (0, 0)."""
+    spread, found = candidates(words, model)
+    spread += model.log_k
+    best = max((s for _, _, s in found), default=0.0)
+    return [(0, 0, best - spread), *((a, b, s - spread) for a, b, s in found if s - spread >= SIGNIFICANT)]
 
 
 def _features(evidence: np.ndarray, total: np.ndarray) -> np.ndarray:
@@ -115,7 +133,7 @@ def _counts(chosen: DataFrame) -> DataFrame:
     return chosen.select("y", "text").mapInArrow(run, "word binary, toxic long, clean long").groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
 
 
-def fit(docs: DataFrame, train: DataFrame, id_col: str = "doc_id", text_col: str = "text", tokens: int = TOKENS) -> Model:
+def fit(docs: DataFrame, train: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Model:
     """Model from the texts of the bounded table ``train``."""
     chosen = docs.select(F.col(id_col).alias("label_id"), F.col(text_col).alias("text")).join(F.broadcast(train), "label_id").select("y", "text")
     counts = _counts(chosen)
@@ -126,7 +144,7 @@ def fit(docs: DataFrame, train: DataFrame, id_col: str = "doc_id", text_col: str
     a, b = F.col("toxic") + prior, F.col("clean") + prior
     delta = F.log(a / (totals["t"] + PRIOR)) - F.log(b / (totals["c"] + PRIOR))
     judged = counts.select("word", "toxic", "clean", delta.alias("delta"), (delta / F.sqrt(1 / a + 1 / b)).alias("z"))
-    clear = judged.where(F.abs("z") > CLEAR).orderBy(F.abs("z").desc(), "word").limit(tokens).toPandas()  # bounded by ``tokens``
+    clear = judged.where(F.abs("z") > CLEAR).toPandas().sort_values("word", kind="stable")  # bounded by the words of the training rows
     shrunk = clear["delta"] * (1 - (CLEAR / clear["z"]) ** 2)
     model = Model({bytes(w): float(s) for w, s in zip(clear["word"], shrunk, strict=True)})
     # rate of the extreme-value law over the clean texts' words
@@ -141,15 +159,36 @@ def fit(docs: DataFrame, train: DataFrame, id_col: str = "doc_id", text_col: str
         mid = (low + high) / 2
         low, high = (mid, high) if excess(mid) < 0 else (low, mid)
     model.rate = high
-    rows = _evidence(chosen.select(F.col("y").alias("id"), "text"), model).select("id", "evidence", "total", "n_words").toPandas()  # bounded by the training rows
-    clean = rows[(rows["id"] == 0) & (rows["n_words"] > 0)]
-    model.log_k = float(clean["evidence"].median() + np.log(np.log(2))) if len(clean) else 0.0
-    rows = _evidence(chosen.select(F.col("y").alias("id"), "text"), model).select("id", "evidence", "total").toPandas()
-    x, y = _features(rows["evidence"].to_numpy(float), rows["total"].to_numpy(float)), rows["id"].to_numpy(float)
-    model.curve = tuple(_logistic(x, y))
+    # one pass over the training texts: the scaled sums of their segments, before the constant is known
+    rows = _sums(chosen, model).toPandas()  # bounded by the training rows
+    best = np.array([max(x, default=0.0) for x in rows["sums"]]) - rows["spread"].to_numpy(float)
+    y = rows["y"].to_numpy(float)
+    clean = best[(y == 0) & (rows["n_words"].to_numpy() > 0)]
+    model.log_k = float(np.median(clean) + np.log(np.log(2))) if len(clean) else 0.0
+    total = [sum(e for s in x if (e := s - at - model.log_k) >= SIGNIFICANT) for x, at in zip(rows["sums"], rows["spread"], strict=True)]
+    model.curve = tuple(_logistic(_features(best - model.log_k, np.array(total)), y))
     return model
 
 
+def _sums(chosen: DataFrame, model: Model) -> DataFrame:
+    """Rows ``(y, n_words, spread, sums)`` of rows (y, text): the scaled sums of all maximal segments."""
+    sent = chosen.sparkSession.sparkContext.broadcast(pickle.dumps(model))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own: Model = pickle.loads(sent.value)
+        for batch in batches:
+            size, spread, sums = [], [], []
+            for text in batch.column(1).to_pylist():
+                words = words_of(text)
+                at, found = candidates(words, own)
+                size.append(len(words))
+                spread.append(at)
+                sums.append([s for _, _, s in found])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int64()), pa.array(spread, pa.float64()), pa.array(sums, pa.list_(pa.float64()))], names=["y", "n_words", "spread", "sums"])
+
+    return chosen.select("y", "text").mapInArrow(run, "y int, n_words long, spread double, sums array<double>")
+
+
 def _logistic(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     w = np.zeros(x.shape[1])
     for _ in range(50):
