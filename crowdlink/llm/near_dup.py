@@ -6,15 +6,17 @@ at least ``least``; its id is its least document id.
 
 Texts of the same words are one representative from the start. A bucket holds the representatives that
 agree in all registers of a band; each is compared with the bucket's least one, and afterwards only with
-bucket members of other classes where two bounds allow a link: the distance is a metric and both distances
-to the least one are known; shingles that no other open text has cannot overlap; and registers that differ
-far too often rule a link out. The member with the
+bucket members of other classes where two exact bounds allow a link: the distance is a metric and both
+distances to the least one are known; shingles that no other open text has cannot overlap. The member with the
 fewest such shingles, the likely original, is compared first. So a group of thousands of copies costs about
-two comparisons for each copy, and no link that could join two classes is left out.
+two comparisons for each copy (what two texts have in common lies inside or outside the known one, which
+bounds it once more), and no link that could join two classes is left out. Members that are still
+open meet in cells of bounded blocks, so that no task holds all pairs of a large group.
 
 Defined results: a null text or one without words has no shingles and is a class of its own; repeated
-rows get a row each with one class; a null id gets no class; an empty table gives no rows; extra columns
-do not matter; texts of any length are read whole.
+rows get a row each with one class; a row without an id gets the class of the rows with its words, or null if
+none of them has an id, and is no class's name; an empty table gives no rows; extra columns do not matter;
+texts of any length are read whole.
 """
 
 from __future__ import annotations
@@ -37,6 +39,8 @@ WIDTH, LEAST = 5, 0.8
 BANDS, DEPTH = 32, 4
 #: Bytes of text that are worked on at a time.
 PIECE = 1 << 20
+#: Open members of a head that stand on one side of a comparison.
+SIDE = 1024
 
 
 def pieces(batch: pa.RecordBatch, *columns: int) -> Iterator[pa.RecordBatch]:
@@ -63,7 +67,7 @@ def multisets(shingles: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.n
 
 
 def sign(docs: DataFrame, id_col: str, text_col: str, width: int = WIDTH) -> DataFrame:
-    """Rows ``(id, n, same1, same2, bands, sketch)``: shingles, a 128-bit digest of the words, band hashes, and four bits of each register."""
+    """Rows ``(id, n, same1, same2, bands)``: shingles, a 128-bit digest of the words, and band hashes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -83,15 +87,11 @@ def sign(docs: DataFrame, id_col: str, text_col: str, width: int = WIDTH) -> Dat
                     sums = [np.append(np.uint64(0), np.cumsum(mix(words ^ mix(place * np.uint64(2) + np.uint64(k + 1))))) for k in range(2)]
                     same = [(x[bounds[1:]] - x[bounds[:-1]]) ^ np.diff(bounds).astype(np.uint64) for x in sums]
                 n = np.bincount(owner, minlength=rows).astype(np.int64)
-                # four bits of each register, sixteen to a number
-                nibbles = (registers & np.uint64(15)).reshape(rows, -1, 16) << (np.arange(16, dtype=np.uint64) * np.uint64(4))
-                sketch = np.bitwise_or.reduce(nibbles, axis=2)
-                short = pa.ListArray.from_arrays(pa.array(np.arange(rows + 1, dtype=np.int32) * np.int32(sketch.shape[1])), pa.array(sketch.reshape(-1).view(np.int64)))
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(0, rows * BANDS + 1, BANDS, dtype=np.int32)), pa.array(bands.reshape(-1).view(np.int64)))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n), *(pa.array(x.view(np.int64)) for x in same), lists, short], names=["id", "n", "same1", "same2", "bands", "sketch"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n), *(pa.array(x.view(np.int64)) for x in same), lists], names=["id", "n", "same1", "same2", "bands"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, f"id {kind}, n long, same1 long, same2 long, bands array<long>, sketch array<long>")
+    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, f"id {kind}, n long, same1 long, same2 long, bands array<long>")
 
 
 def overlap(pairs: DataFrame, texts: DataFrame, width: int = WIDTH) -> DataFrame:
@@ -155,29 +155,12 @@ def _mixed(bucket: DataFrame, label: DataFrame) -> DataFrame:
     return placed.join(mixed, "key", "left_semi")
 
 
-def differing(x: str, y: str) -> Column:
-    """Registers of two sketches that differ in the four bits kept of them."""
-    out = F.lit(0)
-    for k in range(BANDS * DEPTH // 16):
-        v = F.get(x, F.lit(k)).bitwiseXOR(F.get(y, F.lit(k)))
-        v = v.bitwiseOR(F.shiftrightunsigned(v, 2))
-        v = v.bitwiseOR(F.shiftrightunsigned(v, 1))
-        out = out + F.bit_count(v.bitwiseAND(F.lit(0x1111111111111111)))
-    return out
-
-
-def differing_bound(least: float) -> int:
-    """Five deviations above what a pair of similarity ``least`` is expected to show: missed about as rarely as by the bands."""
-    p = (1 - least) * 15 / 16
-    return int(BANDS * DEPTH * p + 5 * (BANDS * DEPTH * p * (1 - p)) ** 0.5)
-
-
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least: float = LEAST) -> DataFrame:
     """Rows ``(id, class_id, n_shingles)`` of every document."""
     signed = cut(sign(docs, id_col, text_col), "signatures")
     alone = signed.where("n = 0").select("id", F.col("id").alias("class_id"), F.col("n").alias("n_shingles"))
-    signed = signed.where("n > 0 AND id IS NOT NULL")
-    reps = signed.groupBy("same1", "same2").agg(F.min("id").alias("rep"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands"), F.any_value("sketch").alias("sketch"))
+    signed = signed.where("n > 0")
+    reps = signed.where("id IS NOT NULL").groupBy("same1", "same2").agg(F.min("id").alias("rep"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands"))
     reps = cut(reps, "representatives")
     members = reps.select("rep", "n", F.explode("bands").alias("key"))
     heads = members.groupBy("key").agg(F.min(F.struct("rep", "n")).alias("head"), F.count("*").alias("size")).where("size > 1").select("key", "head.*")
@@ -193,7 +176,10 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lea
     label = cut(components(links), "classes")
     # what the least ones could not show: members of one bucket that are still in different classes
     bucket = bucket.join(first.select(F.col("a").alias("head"), F.col("b").alias("rep"), "similarity"), ["head", "rep"], "left")
-    bucket = bucket.select("key", "head", "rep", "n", F.when(F.col("rep") == F.col("head"), 0.0).otherwise(1 - F.col("similarity")).alias("far"))
+    # of n shingles and those of another text, whose similarity is known, so many are in both
+    met = lambda n, other, similarity: F.round(similarity * (n + other) / (1 + similarity)).cast("long")
+    same = F.when(F.col("rep") == F.col("head"), 1.0).otherwise(F.col("similarity"))
+    bucket = bucket.select("key", "head", "rep", "n", (1 - same).alias("far"), met(F.col("n"), F.col("head_n"), same).alias("in_far"))
     open_ = cut(_mixed(bucket, label), "open")
     own = own_shingles(texts.join(open_.select(F.col("rep").alias("id")).distinct(), "id", "left_semi"))
     open_ = open_.join(own.withColumnRenamed("id", "rep"), "rep", "left").withColumn("shared", F.col("n") - F.coalesce("own", F.lit(0)))
@@ -204,7 +190,7 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lea
         return most >= (F.col(f"{u}.n") + F.col(f"{v}.n") - most) * least
 
     # the member with the least of its own, of all buckets with one head, stands in the middle of them
-    member = cut(open_.select("head", "rep", "n", "far", "shared").distinct(), "members")
+    member = cut(open_.select("head", "rep", "n", "far", "in_far", "shared").distinct(), "members")
     middle = member.groupBy("head").agg(F.min(F.struct((-F.col("shared") / F.col("n")).alias("r"), "rep", "n", "shared")).alias("m")).select("head", "m.rep", "m.n", "m.shared")
     second = member.alias("x").join(middle.alias("m"), "head").where((F.col("x.rep") != F.col("m.rep")) & link("x", "m"))
     found = cut(overlap(second.select(F.col("m.rep").alias("a"), F.col("x.rep").alias("b")).distinct(), texts), "overlaps")
@@ -212,14 +198,21 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lea
     label = cut(components(links), "classes")
     # whatever is still apart and could be linked is compared
     open_ = _mixed(open_, label).where("rep <> head").select("head", "rep", "component").distinct().join(member, ["head", "rep"])
-    open_ = open_.join(middle.select("head", F.col("rep").alias("a")), "head").join(found.select("a", F.col("b").alias("rep"), (1 - F.col("similarity")).alias("off")), ["a", "rep"], "left")
+    open_ = open_.join(middle.select("head", F.col("rep").alias("a"), F.col("n").alias("a_n")), "head").join(found.select("a", F.col("b").alias("rep"), "similarity"), ["a", "rep"], "left")
+    open_ = open_.withColumns({"off": 1 - F.col("similarity"), "in_off": met(F.col("n"), F.col("a_n"), F.col("similarity"))}).drop("similarity")
     heads = open_.groupBy("rep").agg(F.collect_set("head").alias("heads"))  # as many as bands at most
-    open_ = cut(open_.join(reps.select("rep", "sketch"), "rep").join(heads, "rep"), "open")
-    near = link("x", "y") & (differing("x.sketch", "y.sketch") <= differing_bound(least))
-    for d in ("far", "off"):  # distances to the head and to the middle
-        near = near & F.coalesce(F.abs(F.col(f"x.{d}") - F.col(f"y.{d}")) <= 1 - least + 1e-9, F.lit(True))
+    sizes = open_.groupBy("head").agg(F.ceil(F.count("*") / SIDE).cast("int").alias("blocks"))
+    open_ = cut(open_.join(heads, "rep").join(sizes, "head").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")), "open")
+    every = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    x, y = (open_.withColumn(other, every).withColumnRenamed("block", own).alias(side) for side, own, other in (("x", "low", "high"), ("y", "high", "low")))
+    near = link("x", "y")
+    for d in ("far", "off"):  # by distances to the head and to the middle, and by what each has inside and outside of it
+        ix, iy = F.col(f"x.in_{d}"), F.col(f"y.in_{d}")
+        most = F.least(ix, iy) + F.least(F.col("x.shared") - ix, F.col("y.shared") - iy)
+        near = near & F.coalesce((F.abs(F.col(f"x.{d}") - F.col(f"y.{d}")) <= 1 - least + 1e-9) & (most >= (F.col("x.n") + F.col("y.n") - most) * least), F.lit(True))
     once = F.array_min(F.array_intersect("x.heads", "y.heads")) == F.col("x.head")  # of the heads that both have, one brings the pair
-    third = open_.alias("x").join(open_.alias("y"), (F.col("x.head") == F.col("y.head")) & (F.col("x.rep") < F.col("y.rep")) & (F.col("x.component") != F.col("y.component")) & near & once)
+    cell = (F.col("x.head") == F.col("y.head")) & (F.col("x.low") == F.col("y.low")) & (F.col("x.high") == F.col("y.high"))
+    third = x.join(y, cell & (F.col("x.rep") < F.col("y.rep")) & (F.col("x.component") != F.col("y.component")) & near & once)
     third = third.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"))
     known = first.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).union(found.select(F.least("a", "b"), F.greatest("a", "b")))
     third = cut(third.join(known, ["a", "b"], "left_anti"), "pairs")  # no pair is compared twice
@@ -227,7 +220,7 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lea
         more = overlap(third, texts).where(F.col("similarity") >= least).select(F.col("a").alias("u"), F.col("b").alias("w"))
         label = cut(components(links.unionByName(more)), "classes")
     rep_label = reps.select("rep", "same1", "same2").join(label.withColumnRenamed("id", "rep"), "rep", "left").select("same1", "same2", F.coalesce("component", "rep").alias("class_id"))
-    return signed.join(rep_label, ["same1", "same2"]).select("id", "class_id", F.col("n").alias("n_shingles")).unionByName(alone)
+    return signed.join(rep_label, ["same1", "same2"], "left").select("id", "class_id", F.col("n").alias("n_shingles")).unionByName(alone)
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -237,4 +230,5 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
 
 
 def report(found: DataFrame) -> DataFrame:
-    return found.select(F.col("id").alias("doc_id"), "class_id", "n_shingles", (F.col("id") == F.col("class_id")).alias("kept"))
+    """A row without an id is kept, as ``keep_one`` does."""
+    return found.select(F.col("id").alias("doc_id"), "class_id", "n_shingles", F.coalesce(F.col("id") == F.col("class_id"), F.lit(True)).alias("kept"))
