@@ -3,7 +3,7 @@
 A window is ``width`` consecutive words of an item (or all words of a shorter one). A shard is a bounded
 run of documents of one task; its index holds every run of benchmark words that is as long as the
 shortest window, which are the only places where a window can occur. Occurrences are located by sampled
-suffix positions and merged into removal spans. Nothing is shuffled.
+suffix positions and merged into removal spans. Documents are never shuffled.
 
 Defined results: a null text or item has no words; an empty benchmark hits nothing; a repeated item id
 counts once; a null item id hits but is not listed; repeated documents get a row each; extra columns do
@@ -18,16 +18,21 @@ from collections.abc import Iterator
 from itertools import repeat
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from crowdlink.llm.fm_index import FmIndex
+from crowdlink.storage import cut
 
 WORD = re.compile(rb"[0-9a-z\x80-\xff]+")
-#: Bytes of text in a shard, and of benchmark text that a task holds at a time.
+#: Bytes of text in a shard, and of benchmark text that is broadcast and that a task holds at a time.
 SHARD_BYTES = 6 << 20
 BLOCK_BYTES = 16 << 20
+SPANS = "array<struct<start:int,end:int>>"
 #: Occurrences that are located at a time.
 LOCATED = 1 << 20
 
@@ -95,29 +100,59 @@ class Phrases:
         return pairs
 
 
-def phrase_blocks(benchmark: DataFrame, width: int, id_col: str, text_col: str) -> list:
-    """Broadcast blocks of items, each of bounded size whatever the benchmark's size."""
+def phrase_blocks(benchmark: DataFrame, width: int, id_col: str, text_col: str) -> DataFrame:
+    """Rows ``(block, phrases)``: pickled phrases of items, each block of bounded size whatever the benchmark's size.
+
+    Tasks build them, so the driver never holds items; an item longer than a block is a block of its own.
+    """
     items = benchmark.select(F.col(id_col).cast("string").alias("id"), F.col(text_col).alias("text"))
     size = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    n = int(size) // BLOCK_BYTES + 1
-    block = F.pmod(F.xxhash64("id", "text"), F.lit(n))
-    context = benchmark.sparkSession.sparkContext
-    return [context.broadcast(pickle.dumps(Phrases([tuple(r) for r in items.where(block == k).collect()], width))) for k in range(n)]
+
+    def build(g: pd.DataFrame) -> pd.DataFrame:
+        rows = [tuple(None if x is None else x for x in r) for r in zip(g["id"], g["text"], strict=True)]
+        return pd.DataFrame({"block": [g["block"].iloc[0]], "phrases": [pickle.dumps(Phrases(rows, width))]})
+
+    block = F.pmod(F.xxhash64("id", "text"), F.lit(int(size) // BLOCK_BYTES + 1))
+    return cut(items.withColumn("block", block).groupBy("block").applyInPandas(build, "block long, phrases binary"), "phrases")
 
 
 def find_spans(docs: DataFrame, benchmark: DataFrame, width: int = 10, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
-    """Rows ``(id, n_words, spans, items, cleaned)``: spans of word numbers (end exclusive), item ids, and the text without the spans."""
-    blocks = phrase_blocks(benchmark, width, item_col, item_text)
+    """Rows ``(id, n_words, spans, items, cleaned)``: spans of word numbers (end exclusive), item ids, and the text without the spans.
 
-    def shard(ids: pa.Array, texts: list[str | None]) -> pa.RecordBatch:
+    The documents are read once for each block of the benchmark (``BLOCK_BYTES`` of items), so that only one block
+    is broadcast at a time; from pass to pass the spans and items found so far go along with the rows.
+    """
+    blocks = phrase_blocks(benchmark, width, item_col, item_text)
+    numbers = sorted(r[0] for r in blocks.select("block").collect())  # a number for each BLOCK_BYTES of the benchmark
+    none = f"cast(array() as {SPANS})"
+    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.expr(none).alias("spans"), F.expr("cast(array() as array<string>)").alias("items"))
+    if not numbers:
+        return _pass(rows, None, True)
+    for n in numbers:
+        sent = docs.sparkSession.sparkContext.broadcast(blocks.where(F.col("block") == n).first()["phrases"])
+        rows = _pass(rows, sent, n == numbers[-1])
+        if n != numbers[-1]:
+            rows = cut(rows, "spans")
+            sent.unpersist()
+    return rows
+
+
+def _pass(rows: DataFrame, sent: Broadcast | None, last: bool) -> DataFrame:
+    """Rows (id, text, spans, items) with what one block of phrases adds; the last pass gives what ``find_spans`` promises."""
+
+    def shard(phrases: Phrases | None, part: pa.RecordBatch) -> pa.RecordBatch:
+        texts = part.column(1).to_pylist()
         raws = [(t or "").encode("utf-8") for t in texts]
         words = [WORD.findall(r.lower()) for r in raws]
         counts = np.array([len(w) for w in words], np.int64)
         starts = np.cumsum(counts + 1) - (counts + 1)  # a gap behind each text
         change = np.zeros(int((counts + 1).sum()) + 1, np.int32)
-        items: list[set[str]] = [set() for _ in words]
-        for b in blocks:
-            phrases = pickle.loads(b.value)
+        items = [set(x) for x in part.column(3).to_pylist()]
+        for at, held in zip(starts.tolist(), part.column(2).to_pylist(), strict=True):
+            for x in held:
+                change[at + x["start"]] += 1
+                change[at + x["end"]] -= 1
+        if phrases is not None:
             for n, i in phrases.mark(words, starts, change):
                 items[n].add(phrases.items[i])
         hit = np.cumsum(change) > 0
@@ -126,24 +161,28 @@ def find_spans(docs: DataFrame, benchmark: DataFrame, width: int = 10, id_col: s
         owner = np.searchsorted(starts, edges[::2], side="right") - 1
         for n, a, z in zip(owner.tolist(), edges[::2].tolist(), edges[1::2].tolist(), strict=True):
             spans[n].append({"start": a - int(starts[n]), "end": z - int(starts[n])})
-        cleaned = [t if not s else without(r, s) for t, r, s in zip(texts, raws, spans, strict=True)]
         kind = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))
-        columns = [ids, pa.array(counts), pa.array(spans, kind), pa.array([sorted(x) for x in items], pa.list_(pa.string())), pa.array(cleaned, pa.string())]
-        return pa.RecordBatch.from_arrays(columns, names=["id", "n_words", "spans", "items", "cleaned"])
+        found = [pa.array(spans, kind), pa.array([sorted(x) for x in items], pa.list_(pa.string()))]
+        if not last:
+            return pa.RecordBatch.from_arrays([part.column(0), part.column(1), *found], names=["id", "text", "spans", "items"])
+        cleaned = [t if not s else without(r, s) for t, r, s in zip(texts, raws, spans, strict=True)]
+        return pa.RecordBatch.from_arrays([part.column(0), pa.array(counts), *found, pa.array(cleaned, pa.string())], names=["id", "n_words", "spans", "items", "cleaned"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        phrases = None if sent is None else pickle.loads(sent.value)
         for batch in batches:
-            first, size, texts = 0, 0, batch.column(1).to_pylist()
-            for n, t in enumerate(texts):
-                if size and size + len(t or "") > SHARD_BYTES:
-                    yield shard(batch.column(0).slice(first, n - first), texts[first:n])
+            first, size = 0, 0
+            for n, t in enumerate(pc.fill_null(pc.binary_length(batch.column(1)), 0).to_pylist()):
+                if size and size + t > SHARD_BYTES:
+                    yield shard(phrases, batch.slice(first, n - first))
                     first, size = n, 0
-                size += len(t or "")
-            if first < len(texts):
-                yield shard(batch.column(0).slice(first), texts[first:])
+                size += t
+            if first < batch.num_rows:
+                yield shard(phrases, batch.slice(first))
 
-    kind = docs.schema[id_col].dataType.simpleString()  # of any type: a whole row in ``remove``
-    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, f"id {kind}, n_words long, spans array<struct<start:int,end:int>>, items array<string>, cleaned string")
+    kind = rows.schema["id"].dataType.simpleString()  # of any type: a whole row in ``remove``
+    shape = f"id {kind}, n_words long, spans {SPANS}, items array<string>, cleaned string" if last else f"id {kind}, text string, spans {SPANS}, items array<string>"
+    return rows.mapInArrow(run, shape)
 
 
 def remove(docs: DataFrame, benchmark: DataFrame, width: int = 10, text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:

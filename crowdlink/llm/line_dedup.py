@@ -2,7 +2,7 @@
 
 A line is trimmed of spaces; blank lines always stay and are compared with nothing. Lines stand in the
 order of (document id, hash of its text, line number). A line goes if an equal line stands earlier
-anywhere, or if it has ``MIN_WORDS`` words or more and the first place of a line within one edit (one word
+anywhere, or if it has ``min_words`` words or more and the first place of a line within one edit (one word
 replaced, added or left out) stands before its own first place.
 
 Steps, all in built-in functions: equal lines meet by two 64-bit hashes and leave one row with the first
@@ -14,7 +14,8 @@ millions of lines share costs no pairs. The word edit distance to the partner is
 
 Defined results: a null text has no lines and stays null; rows of one id and text are treated alike;
 a null id is an id of its own that comes first; an empty table gives no rows; extra columns are kept by
-``rewrite``.
+``rewrite``; a line of any length is compared whole (its words are rows, so a very long line is shared out
+before it is hashed).
 """
 
 from __future__ import annotations
@@ -25,6 +26,7 @@ from pyspark.sql import functions as F
 from crowdlink.llm.arrays import let
 from crowdlink.storage import cut
 
+#: Default of the parameter ``min_words``: one edit in fewer words is no near copy.
 MIN_WORDS = 8
 #: Seeds of the two hashes.
 SEEDS = (1, 2)
@@ -40,7 +42,7 @@ def lines_of(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return each.select(F.struct("doc", "th", "no").alias("place"), F.trim("raw").alias("line")).where("line <> ''")
 
 
-def _halves(line: Column, n: Column) -> Column:
+def _halves(line: Column, n: Column, least: int) -> Column:
     """Keys of the first and last half of the words, for partners of as many words and of one word less."""
 
     def of(words: Column) -> list[Column]:
@@ -49,14 +51,14 @@ def _halves(line: Column, n: Column) -> Column:
         last = F.call_function("substring_index", line, F.lit(" "), -(words - front))
         return [F.xxhash64(F.lit(side), words, part) for side, part in (("first", first), ("last", last))]
 
-    return F.when(n > MIN_WORDS, F.array(*of(n), *of(n - 1))).when(n == MIN_WORDS, F.array(*of(n)))
+    return F.when(n > least, F.array(*of(n), *of(n - 1))).when(n == least, F.array(*of(n)))
 
 
-def distinct_lines(lines: DataFrame) -> DataFrame:
+def distinct_lines(lines: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """Rows ``(h1, h2, place, halves)``: each distinct line's first place; halves is null for short lines."""
     h1, h2 = _hashes(F.col("line"))
     n = F.length("line") - F.length(F.replace("line", F.lit(" "), F.lit(""))) + 1
-    keyed = lines.select(h1.alias("h1"), h2.alias("h2"), "place", _halves(F.col("line"), n.cast("int")).alias("halves"))
+    keyed = lines.select(h1.alias("h1"), h2.alias("h2"), "place", _halves(F.col("line"), n.cast("int"), min_words).alias("halves"))
     return keyed.groupBy("h1", "h2").agg(F.min("place").alias("place"), F.any_value("halves").alias("halves"))
 
 
@@ -140,21 +142,21 @@ def near_lines(docs: DataFrame, distinct: DataFrame, id_col: str, text_col: str)
     return checked.select("place").distinct()
 
 
-def kept_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def kept_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS) -> DataFrame:
     """Rows ``(doc, th, kept_lines, n_near)``: numbers of the lines that stay, and of how many a near line went."""
-    distinct = cut(distinct_lines(lines_of(docs, id_col, text_col)), "distinct")
+    distinct = cut(distinct_lines(lines_of(docs, id_col, text_col), min_words), "distinct")
     near = near_lines(docs, distinct, id_col, text_col).withColumn("near", F.lit(True))
     judged = distinct.select("place").join(near, "place", "left").select("place.doc", "place.th", "place.no", F.coalesce("near", F.lit(False)).alias("near"))
     return judged.groupBy("doc", "th").agg(F.collect_list(F.when(~F.col("near"), F.col("no"))).alias("kept_lines"), F.count_if("near").alias("n_near"))
 
 
-def _with_kept(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    kept = kept_lines(docs.select(id_col, text_col), id_col, text_col).select(F.col("doc").alias("__doc"), F.col("th").alias("__th"), F.col("kept_lines").alias("__kept"))
+def _with_kept(docs: DataFrame, id_col: str, text_col: str, min_words: int) -> DataFrame:
+    kept = kept_lines(docs.select(id_col, text_col), id_col, text_col, min_words).select(F.col("doc").alias("__doc"), F.col("th").alias("__th"), F.col("kept_lines").alias("__kept"))
     mine = docs.withColumn("__hash", F.xxhash64(text_col))
     return mine.join(kept, mine[id_col].eqNullSafe(kept["__doc"]) & (mine["__hash"] == kept["__th"]), "left")
 
 
-def rewrite(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def rewrite(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS) -> DataFrame:
     """The documents, their text without the lines that go."""
 
     def without(lines: Column) -> Column:
@@ -163,14 +165,14 @@ def rewrite(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
         return F.array_join(F.transform(stay, lambda i: F.get(lines, i)), "\n")
 
     text = let(F.split(text_col, "\n"), without)
-    out = _with_kept(docs, id_col, text_col).withColumn(text_col, F.when(F.col(text_col).isNotNull(), text))
+    out = _with_kept(docs, id_col, text_col, min_words).withColumn(text_col, F.when(F.col(text_col).isNotNull(), text))
     return out.select(*docs.columns)
 
 
-def report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS) -> DataFrame:
     """Counts for each document, and the numbers of the lines that stay, in order and comma-joined."""
     slim = docs.select(id_col, text_col)
-    kept = kept_lines(slim, id_col, text_col)
+    kept = kept_lines(slim, id_col, text_col, min_words)
     lines = F.filter(F.split(text_col, "\n"), lambda x: F.trim(x) != "")
     mine = slim.select(F.col(id_col).alias("doc_id"), F.xxhash64(text_col).alias("text_hash"), F.coalesce(F.size(lines), F.lit(0)).alias("n"))
     met = mine["doc_id"].eqNullSafe(kept["doc"]) & (mine["text_hash"] == kept["th"])
