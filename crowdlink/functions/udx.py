@@ -44,7 +44,33 @@ class PairsOf:
                 yield u, w
 
 
+@F.udtf(returnType=T.StructType([T.StructField("world", T.LongType()), T.StructField("edge", T.IntegerType())]))
+class PossibleWorlds:
+    """The chosen edges of every world of a graph of a given number of edges, twenty at most."""
+
+    def eval(self, edges: int) -> Iterator[tuple[int, int]]:
+        if edges > 20:
+            raise ValueError("more than 20 edges make too many worlds")
+        for world in range(1 << edges):
+            for edge in range(edges):
+                if world >> edge & 1:
+                    yield world, edge
+
+
+@F.udtf(returnType=T.StructType([T.StructField("gap", T.LongType())]))
+class NextGap:
+    """The least number from 0 that a list leaves out."""
+
+    def eval(self, taken: list[int]) -> Iterator[tuple[int]]:
+        held, n = set(taken or ()), 0
+        while n in held:
+            n += 1
+        yield (n,)
+
+
 def register(spark: SparkSession) -> None:
     spark.udf.register("noisy_or", noisy_or)
     spark.udf.register("cosine_arrow", cosine_arrow)
     spark.udtf.register("pairs_of", PairsOf)
+    spark.udtf.register("possible_worlds", PossibleWorlds)
+    spark.udtf.register("next_gap", NextGap)

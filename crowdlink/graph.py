@@ -15,7 +15,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from crowdlink.storage import cut
+from crowdlink.storage import cut, forget
 
 #: So many edges are connected in one task; more of them by rounds.
 SMALL = 50_000
@@ -46,20 +46,25 @@ def components(edges: DataFrame, a: str = "u", b: str = "w") -> DataFrame:
         return live.repartition(1).mapInPandas(_in_one_task, f"id {kind}, component {kind}")
     nodes = live.select(F.col("low").alias("id")).union(live.select(F.col("high").alias("id"))).distinct()
     labels: DataFrame | None = None
-    live = live.where("low <> high")
+    first = live = live.where("low <> high")
     while not live.isEmpty():
         # a node hooks to its least neighbour if that is less than itself; hooks always lead to lower ids
         hook = cut(live.groupBy(F.col("high").alias("id")).agg(F.min("low").alias("to")), "hooks")
         while True:
             onward = hook.select(F.col("id").alias("to"), F.col("to").alias("further"))
             stepped = cut(hook.join(onward, "to", "left").select("id", F.coalesce("further", "to").alias("to"), F.col("further").isNotNull().alias("moved")), "hooks")
+            forget(hook)
             hook = stepped.select("id", "to")
+            hook.cut_path = stepped.cut_path
             if stepped.where("moved").isEmpty():
                 break
-        labels = hook if labels is None else _through(labels, hook)
+        older, labels = labels, hook if labels is None else _through(labels, hook)
+        forget(older)
         low, high = (hook.select(F.col("id").alias(c), F.col("to").alias(f"{c}_to")) for c in ("low", "high"))
         moved = live.join(low, "low", "left").join(high, "high", "left").select(F.coalesce("low_to", "low").alias("x"), F.coalesce("high_to", "high").alias("y"))
-        live = cut(moved.where("x <> y").select(F.least("x", "y").alias("low"), F.greatest("x", "y").alias("high")).distinct(), "edges")
+        past, live = live, cut(moved.where("x <> y").select(F.least("x", "y").alias("low"), F.greatest("x", "y").alias("high")).distinct(), "edges")
+        if past is not first:
+            forget(past)
     if labels is None:
         return nodes.select("id", F.col("id").alias("component"))
     return nodes.join(labels, "id", "left").select("id", F.coalesce("to", "id").alias("component"))
@@ -70,3 +75,40 @@ def _through(labels: DataFrame, hook: DataFrame) -> DataFrame:
     onward = hook.select(F.col("id").alias("to"), F.col("to").alias("further"))
     older = labels.join(onward, "to", "left").select("id", F.coalesce("further", "to").alias("to"))
     return cut(older.unionByName(hook), "labels")  # only roots hook, and no root has a label yet
+
+
+def degrees(edges: DataFrame, a: str = "u", b: str = "w") -> DataFrame:
+    """Rows ``(id, degree)`` of the ends of undirected edges."""
+    return edges.select(F.explode(F.array(a, b)).alias("id")).groupBy("id").agg(F.count("*").alias("degree"))
+
+
+def levels(edges: DataFrame, start: DataFrame, a: str = "u", b: str = "w", most: int | None = None) -> DataFrame:
+    """Rows ``(id, level)``: fewest edges from the rows (id) of ``start``, breadth first; ``most`` ends it earlier.
+
+    Every level joins only its new nodes with the edges and leaves out what was reached before.
+    """
+    both = cut(edges.select(F.col(a).alias("x"), F.col(b).alias("y")).unionByName(edges.select(F.col(b).alias("x"), F.col(a).alias("y"))).distinct(), "edges")
+    front = cut(start.select("id", F.lit(0).alias("level")).distinct(), "level")
+    found, n = front, 0
+    while (most is None or n < most) and not front.isEmpty():
+        n += 1
+        front = cut(both.join(front.select(F.col("id").alias("x")), "x", "left_semi").select(F.col("y").alias("id")).distinct().join(found.select("id"), "id", "left_anti").withColumn("level", F.lit(n)), "level")
+        found = found.unionByName(front)
+    return found
+
+
+def triangles(edges: DataFrame, a: str = "u", b: str = "w") -> DataFrame:
+    """Rows ``(x, y, z)`` with x < y < z, each triangle once.
+
+    An edge leads from its end of lower degree to the other, so a hub has few outgoing edges and no task lists
+    all pairs of its neighbours.
+    """
+    e = cut(edges.where(F.col(a) != F.col(b)).select(F.least(a, b).alias("u"), F.greatest(a, b).alias("w")).distinct(), "edges")
+    d = degrees(e)
+    ranked = e.join(d.withColumnsRenamed({"id": "u", "degree": "du"}), "u").join(d.withColumnsRenamed({"id": "w", "degree": "dw"}), "w")
+    low = F.struct("du", "u") < F.struct("dw", "w")
+    out = cut(ranked.select(F.when(low, F.col("u")).otherwise(F.col("w")).alias("s"), F.when(low, F.col("w")).otherwise(F.col("u")).alias("t")), "directed")
+    wedges = out.select("s", F.col("t").alias("p")).join(out.select("s", F.col("t").alias("q")), "s").where("p < q")
+    closed = wedges.join(e.select(F.col("u").alias("p"), F.col("w").alias("q")), ["p", "q"], "left_semi")
+    ids = F.array_sort(F.array("s", "p", "q"))
+    return closed.select(*(F.get(ids, F.lit(k)).alias(n) for k, n in enumerate("xyz")))

@@ -9,12 +9,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from crowdlink.graph import components
 from crowdlink.operators import kernels
-from crowdlink.operators.clustering import positive_components
+from crowdlink.operators.clustering import greedy, positive_components
 from crowdlink.operators.votes import labelled, unit_hash
 from crowdlink.storage import cut
 
@@ -64,6 +64,16 @@ def density_next(pairs: DataFrame, fixed: DataFrame, clusters: DataFrame, count:
     return ranked.orderBy(order.desc() if rank == "desc" else order, "q.u", "q.w").limit(count).select("q.u", "q.w", "log_ratio")
 
 
+def density_batch(pairs: DataFrame, fixed: DataFrame, clusters: DataFrame, count: int, rank: str = "desc") -> DataFrame:
+    """[R] The batch form: one unasked pair of each unit in the order of their ratios, then the next of each, and so on."""
+    cu, cw = (clusters.select(F.col("rid").alias(c), F.col("cid").alias(f"c{c}")) for c in ("u", "w"))
+    free = pairs.join(fixed.select("u", "w"), ["u", "w"], "left_anti").join(cu, "u").join(cw, "w").withColumns({"c1": F.least("cu", "cw"), "c2": F.greatest("cu", "cw")})
+    turn = F.row_number().over(Window.partitionBy("c1", "c2").orderBy("u", "w"))
+    ranked = free.withColumn("turn", turn).where(F.col("turn") <= count).join(density_ratio(fixed, clusters), ["c1", "c2"])
+    order = F.round("log_ratio", 9)
+    return ranked.orderBy("turn", order.desc() if rank == "desc" else order, "u", "w").limit(count).select("u", "w", "turn", "log_ratio")
+
+
 FEW_RECORDS = 2000
 
 
@@ -79,30 +89,31 @@ def _bottleneck_in_one_task(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataF
     yield pd.DataFrame({"u": ids[i], "w": ids[j], "pos": pos[i, j], "neg": neg[i, j], "decision": pos[i, j] > neg[i, j]})
 
 
-def bottleneck_relation(edges: DataFrame, records: DataFrame) -> DataFrame:
-    """Rows ``(u, w, pos, neg, decision)`` of record pairs that a positive or winning negative path joins.
+def bottleneck_relation(edges: DataFrame, records: DataFrame, pairs: DataFrame | None = None, few: int = FEW_RECORDS) -> DataFrame:
+    """Rows ``(u, w, pos, neg, decision)`` of the ``pairs`` (u, w) that a positive or winning negative path joins.
 
     Votes make the weights few, so positive paths are components of the edges at each level, and a negative
-    path is one refusing edge between two components of its level. The result has a row for each pair, so it is
-    for record sets of experiments; small ones are one matrix in one task.
+    path is one refusing edge between two components of its level. Each level's labels are joined to the pairs,
+    so the cost is that of the pairs asked for. Without ``pairs`` all pairs are meant, which only record sets of
+    ``few`` records may ask: one matrix in one task.
     """
-    if records.limit(FEW_RECORDS + 1).count() <= FEW_RECORDS:  # a matrix of records fits in one task
-        return edges.select("u", "w", "p").repartition(1).mapInPandas(_bottleneck_in_one_task, "u long, w long, pos double, neg double, decision boolean")
+    small = records.limit(few + 1).count() <= few
+    if pairs is None and not small:
+        raise ValueError(f"all pairs of more than {few} records are too many; name the pairs")
+    if small:  # a matrix of records fits in one task
+        found = edges.select("u", "w", "p").repartition(1).mapInPandas(_bottleneck_in_one_task, "u long, w long, pos double, neg double, decision boolean")
+        return found if pairs is None else found.join(pairs.select("u", "w"), ["u", "w"], "left_semi")
     edges = cut(edges.select("u", "w", "p", F.round("p", 9).alias("level"), F.round(1 - F.col("p"), 9).alias("refusal")), "edges")
-    levels = sorted({r[0] for r in edges.select(F.explode(F.array("level", "refusal"))).distinct().collect() if r[0] > 0.5}, reverse=True)  # as many as votes for a pair
-    found = None
-    for at in levels:
-        label = positive_components(edges.where(F.col("level") >= at), records)
+    levels = sorted({r[0] for r in edges.select(F.explode(F.array("level", "refusal"))).distinct().collect() if r[0] > 0.5})  # as many as votes for a pair
+    asked = pairs.select("u", "w", F.lit(0.0).alias("pos"), F.lit(0.0).alias("neg"))
+    for at in levels:  # from weak to strong, so that the strongest stays
+        label = cut(positive_components(edges.where(F.col("level") >= at), records), "labels")
+        refusing = labelled(edges.where(F.col("refusal") >= at), label).where("cu <> cw").select(F.least("cu", "cw").alias("c1"), F.greatest("cu", "cw").alias("c2"), F.lit(True).alias("no")).distinct()
         x, y = (label.select(F.col("rid").alias(r), F.col("cid").alias(c)) for r, c in (("u", "cu"), ("w", "cw")))
-        same = x.join(y, F.col("cu") == F.col("cw")).where("u < w").select("u", "w", F.lit(at).alias("pos"), F.lit(0.0).alias("neg"))
-        refusing = labelled(edges.where(F.col("refusal") >= at), label).where("cu <> cw").select(F.least("cu", "cw").alias("c1"), F.greatest("cu", "cw").alias("c2")).distinct()
-        apart = refusing.join(x, F.col("c1") == F.col("cu")).join(y.withColumnRenamed("w", "v"), F.col("c2") == F.col("cw")).select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("w"), F.lit(0.0).alias("pos"), F.lit(at).alias("neg"))
-        here = same.unionByName(apart)
-        found = here if found is None else found.unionByName(here)
-    if found is None:
-        return edges.sparkSession.createDataFrame([], "u long, w long, pos double, neg double, decision boolean")
-    both = found.groupBy("u", "w").agg(F.max("pos").alias("pos"), F.max("neg").alias("neg"))
-    return both.withColumn("decision", F.col("pos") > F.col("neg"))
+        here = asked.join(x, "u").join(y, "w").withColumns({"c1": F.least("cu", "cw"), "c2": F.greatest("cu", "cw")}).join(refusing, ["c1", "c2"], "left")
+        same, no = F.col("cu") == F.col("cw"), F.coalesce("no", F.lit(False))
+        asked = cut(here.select("u", "w", F.when(same, at).otherwise(F.col("pos")).alias("pos"), F.when(no & ~same, at).otherwise(F.col("neg")).alias("neg")), "relation")
+    return asked.where("pos > 0 OR neg > 0").withColumn("decision", F.col("pos") > F.col("neg"))
 
 
 def bottleneck_clusters(relation: DataFrame, records: DataFrame) -> DataFrame:
@@ -135,6 +146,21 @@ def pivot_clusters(edges: DataFrame, records: DataFrame, seed: int = 42) -> Data
     return done.join(least, "root").select("rid", "cid")
 
 
+def pivot_refined(edges: DataFrame, records: DataFrame, clusters: DataFrame) -> DataFrame:
+    """[R] Clusters (rid, cid) after one refinement: records whose leaving pays leave, then clusters whose merging pays merge.
+
+    Merges are greedy by their summed benefit, as the clustering by odds is.
+    """
+    gone = split_benefit(labelled(edges, clusters)).where("benefit > 0").select("rid", F.lit(True).alias("gone"))
+    kept = clusters.join(gone, "rid", "left").select("rid", "cid", F.coalesce("gone", F.lit(False)).alias("gone"))
+    stay = kept.where("NOT gone").groupBy("cid").agg(F.min("rid").alias("least"))
+    split = cut(kept.join(stay, "cid", "left").select("rid", F.when(F.col("gone"), F.col("rid")).otherwise(F.col("least")).alias("cid")), "split")
+    links = merge_benefit(labelled(edges, split)).select(F.col("c1").alias("u"), F.col("c2").alias("w"), F.round("benefit", 12).alias("odds"))
+    merged = greedy(links, split.select(F.col("cid").alias("rid")).distinct()).select(F.col("rid").alias("cid"), F.col("cid").alias("to"))
+    named = split.join(merged, "cid").select("rid", "to")
+    return named.join(named.groupBy("to").agg(F.min("rid").alias("cid")), "to").select("rid", "cid")
+
+
 def split_benefit(lab: DataFrame) -> DataFrame:
     """[R] What each record would gain by leaving its cluster: the sum of 1 - 2p over its inside edges."""
     inside = lab.where("is_yes").select("u", "w", "p", "cu")

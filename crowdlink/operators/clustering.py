@@ -16,12 +16,14 @@ from pyspark.sql import functions as F
 from crowdlink.config import Config
 from crowdlink.graph import components
 from crowdlink.operators import kernels
-from crowdlink.storage import cut
+from crowdlink.storage import cut, forget
 
 
-def with_odds(edges: DataFrame) -> DataFrame:
+def with_odds(edges: DataFrame, threshold: float = 0.5) -> DataFrame:
+    """Log-odds of the edges; another threshold than a half shifts every edge's, an ablation of the method."""
     q = F.greatest(F.least("p", F.lit(1 - 1e-9)), F.lit(1e-9))
-    return edges.select("u", "w", F.round(F.log(q) - F.log1p(-q), 12).alias("odds"))
+    shift = 0.0 if threshold == 0.5 else float(np.log(threshold / (1 - threshold)))
+    return edges.select("u", "w", F.round(F.log(q) - F.log1p(-q) - F.lit(shift), 12).alias("odds"))
 
 
 def positive_components(edges: DataFrame, records: DataFrame, above: float = 0.5) -> DataFrame:
@@ -52,18 +54,47 @@ def _contract(links: DataFrame, merged: DataFrame) -> DataFrame:
     return x.groupBy(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("w")).agg(F.round(F.sum("odds"), 12).alias("odds"))
 
 
-def scc(edges: DataFrame, records: DataFrame, k: Config = Config()) -> DataFrame:
-    """Clusters (rid, cid) of all records; cid is the least rid."""
-    links = cut(with_odds(edges), "links")
+def mutual_best(links: DataFrame) -> DataFrame:
+    """Pairs (u, w) of positive odds that are the best of both their ends; ties by the least ids."""
+    pos = links.where("odds > 1e-12")
+    at = F.struct((-F.col("odds")).alias("o"), "u", "w")
+    ends = pos.select(F.col("u").alias("c"), at.alias("at")).union(pos.select(F.col("w").alias("c"), at.alias("at")))
+    best = ends.groupBy("c").agg(F.min("at").alias("at")).select("at.u", "at.w")
+    return best.groupBy("u", "w").count().where("count = 2").select("u", "w")
+
+
+def scc(edges: DataFrame, records: DataFrame, k: Config = Config(), start: DataFrame | None = None) -> DataFrame:
+    """Clusters (rid, cid) of all records; cid is the least rid.
+
+    With ``start``, clusters (rid, cid) of an earlier clustering are merged on rather than single records.
+    ``scc_mode="rounds"`` merges all mutually best pairs at once, round by round, which is no greedy order:
+    approximate, and only on demand.
+    """
+    return greedy(with_odds(edges, k.merge_threshold), records, k, start)
+
+
+def greedy(links: DataFrame, records: DataFrame, k: Config = Config(), start: DataFrame | None = None) -> DataFrame:
+    """Clusters by greedy merging of the greatest summed ``odds`` of links (u, w, odds) while they are positive."""
     label: DataFrame | None = None
+    if start is not None:
+        label = cut(start.where("rid <> cid").select(F.col("rid").alias("id"), F.col("cid").alias("to")), "labels")
+        links = _contract(links, label.select(F.col("to").alias("u"), F.col("id").alias("w")))
+    links = cut(links, "links")
+    if k.scc_mode == "rounds":
+        while not (merged := cut(mutual_best(links), "merged")).isEmpty():
+            past, links = links, cut(_contract(links, merged), "links")
+            step = merged.select(F.col("w").alias("id"), F.col("u").alias("to"))
+            older, label = label, cut(step if label is None else _follow(label, step), "labels")
+            forget(past, older, merged)
+        return _least_named(records, label)
     while k.scc_mode == "contract":
         merged = cut(safe_merges(links), "merged")  # disjoint pairs, since each out-weighs all else at its ends
         if merged.isEmpty():
             break
-        links = cut(_contract(links, merged), "links")
+        past, links = links, cut(_contract(links, merged), "links")
         step = merged.select(F.col("w").alias("id"), F.col("u").alias("to"))
-        label = step if label is None else _follow(label, step)
-        label = cut(label, "labels")
+        older, label = label, cut(step if label is None else _follow(label, step), "labels")
+        forget(past, older, merged)
     found = cut(components(links.where("odds > 0")), "components")
     member = found.withColumnRenamed("component", "comp")
     inside = links.join(member.withColumnsRenamed({"id": "u", "comp": "cu"}), "u").join(member.withColumnsRenamed({"id": "w", "comp": "cw"}), "w").where("cu = cw").select(F.col("cu").alias("comp"), "u", "w", "odds")
@@ -79,7 +110,12 @@ def scc(edges: DataFrame, records: DataFrame, k: Config = Config()) -> DataFrame
     if not large.isEmpty():
         rest = rest.unionByName(greedy_blocks(inside.join(large, "comp", "left_semi").select("u", "w", "odds"), k.max_component))
     rest = rest.where("id <> to")
-    label = rest if label is None else _follow(label, rest)
+    return _least_named(records, rest if label is None else _follow(label, rest))
+
+
+def _least_named(records: DataFrame, label: DataFrame | None) -> DataFrame:
+    if label is None:
+        return records.select("rid", F.col("rid").alias("cid"))
     out = records.select("rid").join(label.withColumnRenamed("id", "rid"), "rid", "left").select("rid", F.coalesce("to", "rid").alias("root"))
     least = out.groupBy("root").agg(F.min("rid").alias("cid"))
     return out.join(least, "root").select("rid", "cid")
@@ -162,3 +198,18 @@ def local_move(edges: DataFrame, records: DataFrame) -> DataFrame:
 
     found = inside.select(F.col("cu").alias("comp"), "u", "w", "odds").groupBy("comp").applyInPandas(one, "rid long, to long")
     return records.select("rid").join(found, "rid", "left").select("rid", F.coalesce("to", "rid").alias("cid"))
+
+
+def average_odds(edges: DataFrame, records: DataFrame) -> DataFrame:
+    """Another heuristic: greedy merging by the mean odds of the asked pairs between two clusters, components apart."""
+    links = with_odds(edges)
+    member = components(links.where("odds > 0")).withColumnRenamed("component", "comp")
+    inside = links.join(member.withColumnsRenamed({"id": "u", "comp": "cu"}), "u").join(member.withColumnsRenamed({"id": "w", "comp": "cw"}), "w").where("cu = cw")
+
+    def one(g: pd.DataFrame) -> pd.DataFrame:
+        nodes, n = np.unique(g[["u", "w"]].to_numpy(), return_inverse=True)
+        a, b = n.reshape(-1, 2).T
+        return pd.DataFrame({"rid": nodes, "to": nodes[kernels.average_merges(len(nodes), a, b, g["odds"].to_numpy())]})
+
+    found = inside.select(F.col("cu").alias("comp"), "u", "w", "odds").groupBy("comp").applyInPandas(one, "rid long, to long")
+    return records.select("rid").join(found, "rid", "left").select("rid", F.coalesce("to", "rid").alias("cid"))

@@ -94,6 +94,33 @@ def agglomerate(n: int, a: np.ndarray, b: np.ndarray, odds: np.ndarray, whole: n
     return label
 
 
+def average_merges(n: int, a: np.ndarray, b: np.ndarray, odds: np.ndarray) -> np.ndarray:
+    """Greedy merging of the pair of clusters of greatest mean odds while it is positive; ties by least ids."""
+    links: list[dict[int, tuple[float, int]]] = [{} for _ in range(n)]
+    for x, y, o in zip(a.tolist(), b.tolist(), odds.tolist(), strict=True):
+        links[x][y] = links[y][x] = (links[x].get(y, (0.0, 0))[0] + o, links[x].get(y, (0.0, 0))[1] + 1)
+    mean = lambda v: round(v[0] / v[1], 12)
+    heap = [(-mean(v), x, y) for x in range(n) for y, v in links[x].items() if x < y and v[0] > 1e-12]
+    heapq.heapify(heap)
+    label = np.arange(n)
+    while heap:
+        o, x, y = heapq.heappop(heap)
+        if y not in links[x] or -mean(links[x][y]) != o:
+            continue
+        label[label == y] = x
+        del links[x][y]
+        for z, v in links[y].items():
+            if z == x:
+                continue
+            del links[z][y]
+            old = links[x].get(z, (0.0, 0))
+            links[x][z] = links[z][x] = new = (round(old[0] + v[0], 12), old[1] + v[1])
+            if new[0] > 1e-12:
+                heapq.heappush(heap, (-mean(new), min(x, z), max(x, z)))
+        links[y] = {}
+    return label
+
+
 def local_moves(n: int, a: np.ndarray, b: np.ndarray, odds: np.ndarray, sweeps: int = 50) -> np.ndarray:
     """From singletons, move records one by one to the neighbouring cluster of greatest summed odds while that helps."""
     near: list[list[tuple[int, float]]] = [[] for _ in range(n)]
@@ -189,9 +216,47 @@ class Sample:
             if (labels == before).all():
                 return cls(labels)
 
+    def _second(self) -> np.ndarray:
+        """Of the worlds in two parts: which nodes (rows) are not in the first node's part."""
+        two = self.labels[:, self.parts == 2]
+        return (two != two[:1]).astype(np.float32)
+
     def connect_with(self) -> np.ndarray:
         """Matrix: the connectivity if the pair (row, column) were surely joined."""
-        two = self.labels[:, self.parts == 2]
-        x = (two != two[:1]).astype(np.float32)
+        x = self._second()
         apart = x @ (1 - x).T
         return self.connect + (apart + apart.T) / self.labels.shape[1]
+
+    def connect_pairs(self, i: np.ndarray, j: np.ndarray, piece: int = 4096) -> np.ndarray:
+        """The same for the pairs (i, j) alone, so that a large cluster needs no matrix of all its pairs."""
+        x = self._second()
+        apart = [(x[i[k : k + piece]] != x[j[k : k + piece]]).sum(axis=1) for k in range(0, len(i), piece)]
+        return self.connect + (np.concatenate(apart) if apart else np.zeros(0)) / self.labels.shape[1]
+
+
+def walked(ids: np.ndarray, a: np.ndarray, b: np.ndarray, p: np.ndarray, samples: int, seed: int) -> float:
+    """Share of sampled worlds that a walk from the first record reaches whole, drawing only the edges that it meets.
+
+    Draws depend on (pair, world) alone, so this gives what drawing every edge gives; a world is left as soon as
+    its walk has reached all records or has nowhere to go.
+    """
+    base = pair_hash(ids[a], ids[b], seed)
+    near: list[list[tuple[int, int]]] = [[] for _ in ids]
+    for e, (x, y) in enumerate(zip(a.tolist(), b.tolist(), strict=True)):
+        near[x].append((y, e))
+        near[y].append((x, e))
+    whole = 0
+    for world in range(1, samples + 1):
+        salt = mixed(np.array([world]))[0]
+        seen, todo = {0}, [0]
+        while todo and len(seen) < len(ids):
+            met = [(y, e) for y, e in near[todo.pop()] if y not in seen]
+            if met:
+                at = np.array([e for _, e in met])
+                on = (mixed(base[at] ^ salt) >> np.uint64(11)) * (1.0 / (1 << 53)) < p[at]
+                for (y, _), there in zip(met, on.tolist(), strict=True):
+                    if there and y not in seen:
+                        seen.add(y)
+                        todo.append(y)
+        whole += len(seen) == len(ids)
+    return whole / samples

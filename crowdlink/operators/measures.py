@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -31,9 +31,23 @@ def cost_reduction(costs: DataFrame, ours: str = "reliability") -> DataFrame:
     return mean.where(F.col("method") != ours).join(own, ["workload", "target"]).withColumn("saved_percent", F.round(100 * (1 - F.col("own") / F.col("cost")), 2))
 
 
-def select_time(rounds: DataFrame) -> DataFrame:
-    """Seconds for a batch: choosing and re-clustering, without the answering."""
-    return rounds.where("round > 0").groupBy("workload", "method").agg((F.avg("select_ms") / 1000).alias("seconds"), F.count("*").alias("batches"))
+def select_time(rounds: DataFrame, target: float = 0.95, best_only: tuple[str, ...] = ("tc",)) -> DataFrame:
+    """Processor seconds for a batch until the target: choosing and re-clustering, without the answering.
+
+    Rounds count up to the first that meets ``target``; the methods in ``best_only`` never meet it, so theirs
+    count up to their best F1.
+    """
+    run = ["workload", "method", "seed"]
+    goal = F.when(F.col("method").isin(*best_only), F.max("f1").over(Window.partitionBy(*run))).otherwise(F.lit(target))
+    until = rounds.withColumn("goal", goal).groupBy(*run).agg(F.min(F.when(F.col("f1") >= F.col("goal"), F.col("round"))).alias("last"))
+    spent = rounds.where("round > 0").join(until, run).where("last IS NULL OR round <= last")
+    return spent.groupBy("workload", "method").agg((F.sum("select_ms") / 1000 / F.count("*")).alias("seconds"), F.count("*").alias("batches"), F.countDistinct("seed").alias("runs"))
+
+
+def cost_table(costs: DataFrame, methods: list[str], ours: str = "reliability") -> DataFrame:
+    """One row for each workload and target: mean questions of each method, and the percent that ours saves against the others."""
+    mean = costs.groupBy("workload", "target").pivot("method", methods).agg(F.round(F.avg("n_next"), 1))
+    return mean.withColumns({f"saved_vs_{m}": F.round(100 * (1 - F.col(ours) / F.col(m)), 2) for m in methods if m != ours})
 
 
 def recluster_rate(rounds: DataFrame) -> DataFrame:

@@ -34,7 +34,10 @@ def connectivity(lab: DataFrame, clusters: DataFrame, k: Config = Config()) -> D
         nodes, n = np.unique(g[["u", "w"]].to_numpy(), return_inverse=True)
         a, b = n.reshape(-1, 2).T
         p = g["p"].to_numpy()
-        score = kernels.connect_exact(len(nodes), a, b, p) if len(p) <= k.exact_max_edges else kernels.Sample.draw(nodes, a, b, p, k.samples, k.seed).connect
+        if len(p) <= k.exact_max_edges:
+            score = kernels.connect_exact(len(nodes), a, b, p)
+        else:
+            score = kernels.walked(nodes, a, b, p, k.samples, k.seed) if k.walk == "bfs" else kernels.Sample.draw(nodes, a, b, p, k.samples, k.seed).connect
         return pd.DataFrame({"cid": [g["cid"].iloc[0]], "covered": [len(nodes)], "n_edges": [len(p)], "score": [float(score)]})
 
     scored = inside.groupBy("cid").applyInPandas(one, "cid long, covered long, n_edges long, score double")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass, replace
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -37,10 +39,10 @@ def weight(mode: str, accuracy: float = 0.9) -> Column:
     }[mode]
 
 
-def add_answers(edges: DataFrame, answers: DataFrame, mode: str = "ratio") -> DataFrame:
+def add_answers(edges: DataFrame, answers: DataFrame, mode: str = "ratio", accuracy: float = 0.9) -> DataFrame:
     """The graph after more votes; counts add up, and a pair without a row is still a pair never asked."""
     more = build_edges(answers).drop("p")
-    return edges.drop("p").unionByName(more).groupBy("u", "w").agg(F.sum("n_votes").cast("int").alias("n_votes"), F.sum("n_yes").cast("int").alias("n_yes")).withColumn("p", weight(mode))
+    return edges.drop("p").unionByName(more).groupBy("u", "w").agg(F.sum("n_votes").cast("int").alias("n_votes"), F.sum("n_yes").cast("int").alias("n_yes")).withColumn("p", weight(mode, accuracy))
 
 
 def labelled(edges: DataFrame, clusters: DataFrame) -> DataFrame:
@@ -55,3 +57,21 @@ def crowd_error(votes: DataFrame, gold: DataFrame) -> DataFrame:
     eu, ew = (gold.select(F.col("rid").alias(c), F.col("entity").alias(f"e{c}")) for c in ("u", "w"))
     wrong = F.avg((F.col("yes") != (F.col("eu") == F.col("ew"))).cast("double"))
     return votes.join(eu, "u").join(ew, "w").groupBy("u", "w").agg(wrong.alias("wrong")).agg(F.avg("wrong").alias("crowd_error"), F.count("*").alias("pairs"))
+
+
+@dataclass(frozen=True)
+class UncertainGraph:
+    """Records (rid) and asked pairs (u, w, n_votes, n_yes, p); a pair without a row was never asked."""
+
+    records: DataFrame
+    edges: DataFrame
+    mode: str = "ratio"
+    accuracy: float = 0.9
+
+    @classmethod
+    def of(cls, records: DataFrame, votes: DataFrame, mode: str = "ratio", accuracy: float = 0.9) -> UncertainGraph:
+        return cls(records, build_edges(votes, mode, accuracy), mode, accuracy)
+
+    def add(self, votes: DataFrame) -> UncertainGraph:
+        """The graph after one answer or a batch of them."""
+        return replace(self, edges=add_answers(self.edges, votes, self.mode, self.accuracy))

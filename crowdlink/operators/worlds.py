@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from crowdlink.operators import kernels
 from crowdlink.operators.votes import labelled
 
 LOG_FLOOR = 1e-9
@@ -30,9 +33,44 @@ def world_probability(worlds: DataFrame) -> DataFrame:
     return worlds.groupBy("world").agg(F.product(F.when(F.col("chosen"), F.col("p")).otherwise(1 - F.col("p"))).alias("prob"))
 
 
+def closed(worlds: DataFrame) -> DataFrame:
+    """Rows ``(world, closed)``: whether a world is a clustering, that is, no edge that it leaves out joins two records that its edges connect."""
+    each = worlds.groupBy("world").agg(F.collect_list(F.struct("u", "w", "chosen")).alias("edges"))
+
+    def run(frames):
+        for g in frames:
+            out = []
+            for edges in g["edges"]:
+                ids, at = np.unique(np.array([(x["u"], x["w"]) for x in edges]), return_inverse=True)
+                a, b = at.reshape(-1, 2).T
+                on = np.array([x["chosen"] for x in edges], bool)
+                label = kernels.components(len(ids), a[on], b[on])
+                out.append(not (label[a[~on]] == label[b[~on]]).any())
+            yield pd.DataFrame({"world": g["world"], "closed": out})
+
+    return each.mapInPandas(run, "world long, closed boolean")
+
+
 def not_closed(worlds: DataFrame) -> DataFrame:
-    """Worlds with two chosen edges a-b, b-c whose third edge is in the graph and not chosen (three records)."""
-    return worlds.groupBy("world").agg(F.count_if("chosen").alias("chosen"), F.count("*").alias("edges")).where("chosen = edges - 1 AND edges = 3")
+    return closed(worlds).where("NOT closed").select("world")
+
+
+def best_clusterings(edges: DataFrame, blocks: DataFrame) -> DataFrame:
+    """Rows ``(block, rid, cid, likelihood)``: the likeliest of all partitions of each block (rid, cid) of at most nine records."""
+    inside = labelled(edges, blocks).where("is_yes").groupBy(F.col("cu").alias("block")).agg(F.collect_list(F.struct("u", "w", "p")).alias("edges"))
+    each = blocks.groupBy(F.col("cid").alias("block")).agg(F.sort_array(F.collect_list("rid")).alias("ids")).join(inside, "block", "left")
+
+    def run(frames):
+        for g in frames:
+            out = []
+            for block, ids, edges in zip(g["block"], g["ids"], g["edges"], strict=True):
+                edges = [] if edges is None else list(edges)
+                a, b = (np.searchsorted(ids, np.array([x[c] for x in edges], np.int64)) for c in "uw")
+                labels, score = kernels.best_partition(len(ids), a, b, np.array([x["p"] for x in edges], float))
+                out += [(block, int(ids[n]), int(ids[int((labels == c).argmax())]), score) for n, c in enumerate(labels.tolist())]
+            yield pd.DataFrame(out, columns=["block", "rid", "cid", "likelihood"])
+
+    return each.mapInPandas(run, "block long, rid long, cid long, likelihood double")
 
 
 def partition_counts(spark, most: int = 6) -> DataFrame:

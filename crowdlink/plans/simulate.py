@@ -6,6 +6,7 @@ initial pairs, the votes, the loop and the measures; they differ in clustering,
 
 from __future__ import annotations
 
+import itertools
 import time
 
 import numpy as np
@@ -99,7 +100,24 @@ class Reliability:
             gains, pairs = np.concatenate(best_g), np.concatenate(best_i)
         return pairs[np.lexsort((p.hash[pairs], tie(pairs), -np.round(gains, 9)))[:count]]
 
-    def _inside(self, label: np.ndarray, cid: int, asked: np.ndarray, open_: np.ndarray, floor: float) -> np.ndarray | None:
+    def reliability(self, label: np.ndarray) -> float:
+        """Base-10 logs of all clusters and pairs of clusters; a cluster's worlds are those that its questions use."""
+        p = self.pool
+        inside = label[p.u] == label[p.w]
+        total = 0.0
+        asked = np.flatnonzero(p.asked & inside)
+        groups = {int(label[p.u[g[0]]]): g for g in np.split(asked[np.argsort(label[p.u[asked]], kind="stable")], np.flatnonzero(np.diff(np.sort(label[p.u[asked]]))) + 1) if len(g)}
+        sizes = np.bincount(label, minlength=p.n)
+        for cid in np.flatnonzero(sizes > 1).tolist():
+            total += np.log10(max(self._sample(label, cid, groups.get(cid, asked[:0])).connect, self.eps))
+        cross = p.asked & ~inside
+        known, back = np.unique(unit_keys(label, p.u[cross], p.w[cross]), return_inverse=True)
+        logs = np.bincount(back, np.log(np.maximum(p.ratio[cross], 1e-300)), len(known))
+        total += float(np.log10(np.maximum(-np.expm1(logs), self.eps)).sum())
+        c = int((sizes > 0).sum())
+        return total + (c * (c - 1) // 2 - len(known)) * float(np.log10(self.eps))
+
+    def _sample(self, label: np.ndarray, cid: int, asked: np.ndarray) -> kernels.Sample:
         p = self.pool
         nodes = np.flatnonzero(label == cid)
         mark = (len(nodes), int(nodes.sum()), len(asked))
@@ -107,7 +125,11 @@ class Reliability:
         if kept is None or kept[0] != mark:
             a, b = np.searchsorted(nodes, p.u[asked]), np.searchsorted(nodes, p.w[asked])
             kept = self.kept[cid] = (mark, kernels.Sample.draw(nodes, a, b, p.ratio[asked], self.samples, p.seed))
-        s = kept[1]
+        return kept[1]
+
+    def _inside(self, label: np.ndarray, cid: int, asked: np.ndarray, open_: np.ndarray, floor: float) -> np.ndarray | None:
+        p, nodes = self.pool, np.flatnonzero(label == cid)
+        s = self._sample(label, cid, asked)
         if -np.log10(max(s.connect, self.eps)) < floor:  # even a sure edge could not reach the chosen ones
             return None
         a, b = np.searchsorted(nodes, p.u[open_]), np.searchsorted(nodes, p.w[open_])
@@ -257,27 +279,27 @@ def initial_pairs(pool: Pool, initial: int | str) -> np.ndarray:
     return np.argsort(pool.hash, kind="stable")[: 0 if initial == "none" else int(initial)]
 
 
-def run(pool: Pool, entity: np.ndarray, method: str, batch: int, initial: int | str, samples: int = 300, target: float | None = 0.95, most_rounds: int = 400, budget: int | None = None) -> pd.DataFrame:
-    """Rows of rounds until the target F1, the budget or the pool's end."""
+def run(pool: Pool, entity: np.ndarray, method: str, batch: int, initial: int | str, samples: int = 1000, target: float | None = 0.95, most_rounds: int | None = None, budget: int | None = None) -> pd.DataFrame:
+    """Rows of rounds until the target F1, the budget or the pool's end; each run is timed on its own task's clock."""
     pick = chooser(method, pool, samples)
     start = initial_pairs(pool, initial)
     pool.asked[start] = True
     label, _ = pick.cluster(None, None)
     asked, rows = 0, []
     spent, renewed = 0.0, True
-    for n in range(most_rounds + 1):
+    for n in itertools.count():
         p, r, f = f1_of(label, entity)
         a, b, q = pool.edges(pool.ratio)
         loglik = float(np.log(np.maximum(np.where(label[a] == label[b], q, 1 - q), 1e-9)).sum())
-        rows.append((n, len(start), asked, p, r, f, loglik, spent, renewed))
-        if (target is not None and f >= target) or (budget is not None and asked >= budget):
+        rows.append((n, len(start), asked, p, r, f, loglik, pick.reliability(label) if isinstance(pick, Reliability) else None, spent, renewed))
+        if (target is not None and f >= target) or (budget is not None and asked >= budget) or n == most_rounds:
             break
-        began = time.perf_counter()
+        began = time.process_time()
         fresh = pick.choose(label, batch if budget is None else min(batch, budget - asked))
         if not len(fresh):
             break
         pool.asked[fresh] = True
         asked += len(fresh)
         label, renewed = pick.cluster(label, fresh)
-        spent = (time.perf_counter() - began) * 1000
-    return pd.DataFrame(rows, columns=["round", "n_initial", "n_next", "precision", "recall", "f1", "loglik", "select_ms", "reclustered"])
+        spent = (time.process_time() - began) * 1000
+    return pd.DataFrame(rows, columns=["round", "n_initial", "n_next", "precision", "recall", "f1", "loglik", "reliability", "select_ms", "reclustered"])

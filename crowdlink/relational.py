@@ -7,9 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from crowdlink import graph
 from crowdlink.functions import udx
 from crowdlink.sources import workloads as W
-from crowdlink.storage import shared_dir
+from crowdlink.storage import new_path
 from crowdlink.streaming import answers as S
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -185,6 +186,20 @@ def topk_per_unit(spark, sf_dir):
     return t(spark, sf_dir, "part").withColumn("rn", F.row_number().over(w)).where("rn <= 3").select("p_partkey", "p_brand")
 
 
+@query("""SELECT s_suppkey, round(percent_rank() OVER w, 8) AS pr, round(cume_dist() OVER w, 8) AS cd, nth_value(s_suppkey, 2) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second
+FROM supplier WINDOW w AS (PARTITION BY s_nationkey ORDER BY s_acctbal, s_suppkey)""")
+def win_distribution(spark, sf_dir):
+    w = Window.partitionBy("s_nationkey").orderBy("s_acctbal", "s_suppkey")
+    whole = w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return t(spark, sf_dir, "supplier").select("s_suppkey", F.round(F.percent_rank().over(w), 8).alias("pr"), F.round(F.cume_dist().over(w), 8).alias("cd"), F.nth_value("s_suppkey", 2).over(whole).alias("second"))
+
+
+@query("""SELECT o_orderstatus, kind, n FROM (SELECT o_orderstatus, count(*) FILTER (o_orderpriority LIKE '1%') AS urgent, count(*) FILTER (o_orderpriority LIKE '5%') AS low FROM orders GROUP BY 1)
+UNPIVOT (n FOR kind IN (urgent, low))""")
+def agg_unpivot(spark, sf_dir):
+    return agg_pivot(spark, sf_dir).unpivot("o_orderstatus", ["urgent", "low"], "kind", "n")
+
+
 @query("SELECT n_nationkey AS k FROM nation UNION SELECT s_nationkey FROM supplier")
 def set_union(spark, sf_dir):
     return t(spark, sf_dir, "nation").select(F.col("n_nationkey").alias("k")).union(t(spark, sf_dir, "supplier").select("s_nationkey")).distinct()
@@ -238,6 +253,11 @@ def fn_json(spark, sf_dir):
     return t(spark, sf_dir, "events").select("event_id", F.from_json("props", "k int")["k"].alias("k"))
 
 
+@query("SELECT p_partkey, '{\"rid\":' || p_partkey || ',\"brand\":\"' || p_brand || '\"}' AS question FROM part")
+def fn_to_json(spark, sf_dir):
+    return t(spark, sf_dir, "part").select("p_partkey", F.to_json(F.struct(F.col("p_partkey").alias("rid"), F.col("p_brand").alias("brand"))).alias("question"))
+
+
 @query("SELECT page_id, regexp_extract(html, '<title>([^<]*)</title>', 1) AS title FROM pages")
 def fn_html_title(spark, sf_dir):
     return t(spark, sf_dir, "pages").select("page_id", F.regexp_extract("html", "<title>([^<]*)</title>", 1).alias("title"))
@@ -275,9 +295,9 @@ def _seeded(k: int):
     return lambda x: F.xxhash64(F.lit(k), x)
 
 
-@query("SELECT event_id, (SELECT sum(d::INT) FROM (SELECT unnest(string_split(json_extract_string(props, '$.k'), '')) AS d))::INT AS s FROM events WHERE event_id < 200")
+@query("SELECT event_id, (SELECT sum(d::INT) FROM (SELECT unnest(string_split(json_extract_string(props, '$.k'), '')) AS d))::INT AS s FROM events")
 def udf_scalar(spark, sf_dir):
-    return t(spark, sf_dir, "events").where("event_id < 200").select("event_id", udx.digit_sum("props").alias("s"))
+    return t(spark, sf_dir, "events").select("event_id", udx.digit_sum("props").alias("s"))
 
 
 @query("SELECT s_nationkey, round(1 - product(1 - (s_acctbal + 1000) / 20000), 9) AS p FROM supplier GROUP BY 1")
@@ -299,19 +319,137 @@ def vector_cosine(spark, sf_dir):
     return a.join(b, F.col("w") == F.col("u") + 1).select("u", "w", F.round(udx.cosine(F.col("eu"), F.col("ew")), 5).alias("c"))
 
 
-@query("SELECT o_orderkey, o_totalprice FROM orders WHERE o_orderkey < 200")
+@query("SELECT o_orderkey, o_totalprice FROM orders")
 def source_round_trips(spark, sf_dir):
     """The same rows through CSV, JSON, ORC and Parquet with a declared schema: what all four give."""
-    rows, schema, out = t(spark, sf_dir, "orders").where("o_orderkey < 200").select("o_orderkey", "o_totalprice"), "o_orderkey long, o_totalprice double", None
+    rows, schema, out = t(spark, sf_dir, "orders").select("o_orderkey", "o_totalprice"), "o_orderkey long, o_totalprice double", None
     for kind in ("csv", "json", "orc", "parquet"):
-        path = f"{shared_dir(spark).rstrip('/')}/round-trip-{kind}"
-        rows.write.mode("overwrite").format(kind).save(path)
+        path = new_path(spark, f"round-trip-{kind}")
+        rows.write.format(kind).save(path)
         back = spark.read.schema(schema).format(kind).load(path)
         out = back if out is None else out.intersectAll(back)
     return out
 
 
+@query("SELECT o_orderstatus, count(*) AS n, count(*) FILTER (o_orderpriority LIKE '1%') AS urgent FROM orders GROUP BY 1")
+def sink_partitioned(spark, sf_dir):
+    """Rows written by directories of one column and read with only the directories of a filter."""
+    path = new_path(spark, "sink")
+    t(spark, sf_dir, "orders").select("o_orderkey", "o_orderpriority", "o_orderstatus").write.partitionBy("o_orderstatus").parquet(path)
+    return spark.read.parquet(path).where("o_orderstatus IS NOT NULL").groupBy("o_orderstatus").agg(F.count("*").alias("n"), F.count_if(F.col("o_orderpriority").like("1%")).alias("urgent"))
+
+
+@query("SELECT c_mktsegment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
+def sink_bucketed(spark, sf_dir):
+    """Two tables in buckets of their join key, which then join without a shuffle of either."""
+    names = []
+    for name, key, columns in (("orders", "o_custkey", ["o_custkey", "o_orderkey"]), ("customer", "c_custkey", ["c_custkey", "c_mktsegment"])):
+        path = new_path(spark, f"bucketed-{name}")
+        names.append(path.rsplit("/", 1)[1].replace("-", "_"))
+        t(spark, sf_dir, name).select(*columns).write.bucketBy(8, key).sortBy(key).option("path", path).saveAsTable(names[-1])
+    o, c = map(spark.table, names)
+    return o.join(c, F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count("*").alias("n"))
+
+
+@query("SELECT n_nationkey, n_name FROM nation")
+def sink_json(spark, sf_dir):
+    """Lines of JSON, as questions go to a crowd, and back."""
+    path = new_path(spark, "questions")
+    t(spark, sf_dir, "nation").select(F.to_json(F.struct("n_nationkey", "n_name")).alias("value")).write.text(path)
+    return spark.read.schema("n_nationkey int, n_name string").json(path)
+
+
+@query("""WITH RECURSIVE below(k, level) AS (SELECT n_nationkey, 0 FROM nation WHERE n_nationkey = 0 UNION SELECT b.n_nationkey, level + 1 FROM below JOIN nation a ON a.n_nationkey = k JOIN nation b ON b.n_regionkey = a.n_regionkey WHERE level < 2)
+SELECT k, min(level) AS level FROM below GROUP BY k""")
+def sql_recursive(spark, sf_dir):
+    """Reachable nations by recursive SQL, bounded in depth and made distinct outside."""
+    t(spark, sf_dir, "nation").createOrReplaceTempView("nation_graph")
+    return spark.sql("""WITH RECURSIVE below(k, level) AS (SELECT n_nationkey, 0 FROM nation_graph WHERE n_nationkey = 0 UNION ALL
+        SELECT b.n_nationkey, level + 1 FROM below JOIN nation_graph a ON a.n_nationkey = k JOIN nation_graph b ON b.n_regionkey = a.n_regionkey WHERE level < 2)
+        SELECT k, min(level) AS level FROM below GROUP BY k""")
+
+
+LINKS = """WITH RECURSIVE e AS (SELECT DISTINCT l_suppkey AS u, 1000000 + l_orderkey AS w FROM lineitem)
+"""
+
+
+@query(LINKS + "SELECT id, count(*) AS degree FROM (SELECT u AS id FROM e UNION ALL SELECT w FROM e) GROUP BY id")
+def graph_degrees(spark, sf_dir):
+    return graph.degrees(_links(spark, sf_dir))
+
+
+@query(LINKS + """, b AS (SELECT u AS x, w AS y FROM e UNION ALL SELECT w, u FROM e), s AS (SELECT min(u) AS id FROM e),
+l1 AS (SELECT DISTINCT y AS id FROM b JOIN s ON x = id), l2 AS (SELECT DISTINCT y AS id FROM b JOIN l1 ON x = id WHERE y NOT IN (SELECT id FROM s)),
+l3 AS (SELECT DISTINCT y AS id FROM b JOIN l2 ON x = id WHERE y NOT IN (SELECT id FROM l1))
+SELECT id, 0 AS level FROM s UNION ALL SELECT id, 1 FROM l1 UNION ALL SELECT id, 2 FROM l2 UNION ALL SELECT id, 3 FROM l3""")
+def graph_levels(spark, sf_dir):
+    """Three levels breadth first from the first supplier, over the orders."""
+    links = _links(spark, sf_dir)
+    return graph.levels(links, links.agg(F.min("u").alias("id")), most=3)
+
+
+def _links(spark, sf_dir):
+    return t(spark, sf_dir, "lineitem").select(F.col("l_suppkey").alias("u"), (F.col("l_orderkey") + 1_000_000).alias("w")).distinct()
+
+
+@query("""WITH e AS (SELECT DISTINCT least(a.l_partkey, b.l_partkey) AS u, greatest(a.l_partkey, b.l_partkey) AS w FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND a.l_partkey < b.l_partkey)
+SELECT count(*) AS triangles FROM e a JOIN e b ON b.u = a.w JOIN e c ON c.u = a.u AND c.w = b.w""")
+def graph_triangles(spark, sf_dir):
+    li = t(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey")
+    e = li.select("l_orderkey", F.col("l_partkey").alias("u")).join(li.select("l_orderkey", F.col("l_partkey").alias("w")), "l_orderkey").where("u < w").select("u", "w").distinct()
+    return graph.triangles(e).agg(F.count("*").alias("triangles"))
+
+
+@query("SELECT world, u::BIGINT AS u, w::BIGINT AS w FROM (VALUES (0, 0, 1), (1, 0, 2), (2, 1, 2)) e(bit, u, w), range(8) r(world) WHERE (world >> bit) & 1 = 1")
+def udtf_worlds(spark, sf_dir):
+    """The chosen edges of each world of a triangle."""
+    udx.register(spark)
+    return spark.sql("SELECT world, CASE edge WHEN 2 THEN 1L ELSE 0L END AS u, CASE edge WHEN 0 THEN 1L ELSE 2L END AS w FROM possible_worlds(3)")
+
+
+@query("SELECT n_regionkey AS region, min(range) AS gap FROM range(26), (SELECT DISTINCT n_regionkey FROM nation) r WHERE (range, n_regionkey) NOT IN (SELECT (n_nationkey, n_regionkey) FROM nation) GROUP BY 1")
+def udtf_next_gap(spark, sf_dir):
+    """The least number that a region's nations leave out."""
+    udx.register(spark)
+    t(spark, sf_dir, "nation").groupBy("n_regionkey").agg(F.collect_list(F.col("n_nationkey").cast("long")).alias("taken")).createOrReplaceTempView("nation_taken")
+    return spark.sql("SELECT n_regionkey AS region, g.gap FROM nation_taken, LATERAL next_gap(taken) g")
+
+
+@query("SELECT s_nationkey AS k, count(*) AS suppliers, (SELECT count(*) FROM customer WHERE c_nationkey = s_nationkey)::BIGINT AS customers FROM supplier GROUP BY s_nationkey")
+def cogroup_counts(spark, sf_dir):
+    """Two tables' rows of one key side by side in one call."""
+    import pandas as pd
+
+    def both(key, a, b):
+        return pd.DataFrame({"k": [key[0]], "suppliers": [len(a)], "customers": [len(b)]})
+
+    a = t(spark, sf_dir, "supplier").select(F.col("s_nationkey").alias("k")).groupBy("k")
+    b = t(spark, sf_dir, "customer").select(F.col("c_nationkey").alias("k")).groupBy("k")
+    return a.cogroup(b).applyInPandas(both, "k int, suppliers long, customers long").where("suppliers > 0")
+
+
 @query()
+def block_jaccard(spark, sf_dir):
+    """Entities of near-copied documents: groups by exact similarity of word shingles."""
+    return W.document_gold(spark, sf_dir).groupBy("entity").agg(F.count("*").alias("n"))
+
+
+@query()
+def block_vectors(spark, sf_dir):
+    """Buckets of vectors by the signs of eight random projections: candidates for equal labels."""
+    import numpy as np
+
+    planes = np.random.default_rng(7).standard_normal((8, 64)).round(6).tolist()
+    dot = lambda row: F.aggregate(F.zip_with("embedding", F.array(*map(F.lit, row)), lambda x, y: x * y), F.lit(0.0), lambda a, x: a + x)
+    key = sum(((dot(row) > 0).cast("int") * (1 << k) for k, row in enumerate(planes)), F.lit(0))
+    return t(spark, sf_dir, "embeddings").select(key.alias("bucket"), "vec_id").groupBy("bucket").agg(F.min("vec_id").alias("head"), F.count("*").alias("n")).where("n > 1")
+
+
+VOTED = """SELECT u, w, v AS worker, (u % 5 = w % 5) <> (('0x' || substr(md5('42|' || u || '|' || w || '|' || v), 1, 8))::BIGINT / 4294967296.0 < 0.1) AS yes
+FROM range(30) a(u), range(30) b(w), range(5) c(v) WHERE u < w"""
+
+
+@query(VOTED)
 def source_crowd_votes(spark, sf_dir):
     from crowdlink.sources.crowd import CrowdVotes
 
@@ -337,20 +475,75 @@ def stream_sliding(spark, sf_dir):
     return S.run_once(S.windowed(S.vote_stream(spark, sf_dir), "6 hours", "1 hour"), "stream_sliding", "complete").withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
-@query()
+@query("""WITH e AS (SELECT user_id AS worker, ts, CASE WHEN ts - lag(ts) OVER w <= INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+s AS (SELECT *, sum(fresh) OVER (PARTITION BY worker ORDER BY ts ROWS UNBOUNDED PRECEDING) AS no FROM e)
+SELECT worker, min(ts)::TIMESTAMP AS start, (max(ts) + INTERVAL 30 MINUTE)::TIMESTAMP AS "end", count(*) AS n_votes FROM s GROUP BY worker, no""")
 def stream_sessions(spark, sf_dir):
-    return S.run_once(S.sittings(S.vote_stream(spark, sf_dir)), "stream_sessions", "complete")
+    found = S.run_once(S.sittings(S.vote_stream(spark, sf_dir)), "stream_sessions", "complete")
+    return found.withColumns({c: F.col(c).cast("timestamp_ntz") for c in ("start", "end")})
 
 
-@query()
+PAIRS = "(SELECT event_id, ts, user_id AS worker, event_type, k // 10 AS u, 10 + k % 10 AS w, ((k // 10) % 5 = (10 + k % 10) % 5) <> (event_type = 'error') AS yes FROM (SELECT *, json_extract_string(props, '$.k')::BIGINT AS k FROM events))"
+
+
+@query(f"SELECT DISTINCT u, w, worker FROM {PAIRS}")
 def stream_dedup(spark, sf_dir):
-    return S.run_once(S.deduplicated(S.vote_stream(spark, sf_dir)).select("u", "w", "worker", "yes"), "stream_dedup", "append")
+    """Which worker has voted on which pair, each once."""
+    return S.run_once(S.deduplicated(S.vote_stream(spark, sf_dir)).select("u", "w", "worker"), "stream_dedup", "append")
 
 
-@query()
+@query(f"""SELECT u, w, count(*) AS n_votes, sum(yes::INT)::BIGINT AS n_yes, true AS "full" FROM (SELECT *, row_number() OVER (PARTITION BY u, w ORDER BY event_id) AS no FROM {PAIRS})
+WHERE no <= 5 GROUP BY u, w HAVING count(*) = 5""")
 def stream_completed_pairs(spark, sf_dir):
     votes = S.vote_stream(spark, sf_dir).select("ts", "event_id", "u", "w", "yes")
-    return S.run_once(S.completed_pairs(votes), "stream_completed", "append")
+    return S.run_once(S.completed_pairs(votes), "stream_completed", "append").where("full")
+
+
+@query(f"SELECT q.u, q.w, q.event_id AS question, count(*) AS answers FROM {PAIRS} q JOIN {PAIRS} v ON q.u = v.u AND q.w = v.w AND v.ts >= q.ts AND v.ts <= q.ts + INTERVAL 24 HOUR WHERE q.event_type = 'click' GROUP BY ALL")
+def stream_join(spark, sf_dir):
+    """Every click opens its pair as a question; the votes that come within a day answer it."""
+    votes = S.vote_stream(spark, sf_dir)
+    asked = S.vote_stream(spark, sf_dir).where("event_type = 'click'").select("u", "w", F.col("ts").alias("asked_at"), F.col("event_id").alias("question"))
+    met = S.answered_in_time(asked, votes.select("u", "w", "ts", "worker", "yes"))
+    return S.run_once(met, "stream_join", "append").groupBy("u", "w", "question").agg(F.count("*").alias("answers"))
+
+
+@query("""WITH e AS (SELECT ts, ts >= (SELECT quantile_disc(ts, 0.5) FROM events) AS first FROM events), mark AS (SELECT max(ts) - INTERVAL 2 HOUR AS edge FROM events)
+SELECT count(*) AS votes, count(*) FILTER (NOT first AND time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 1 HOUR <= edge) AS late FROM e, mark""")
+def stream_late(spark, sf_dir):
+    """The later half of the events comes first: what is then behind the watermark is left out and counted."""
+    return S.late_votes(spark, sf_dir)
+
+
+@query(f"""WITH v AS (SELECT u, w, worker, arg_max(yes, event_id) AS yes FROM {PAIRS} GROUP BY u, w, worker) SELECT count(*) AS pairs, sum(n)::BIGINT AS votes, true AS kept_state FROM (SELECT u, w, count(*) AS n FROM v GROUP BY u, w)""")
+def stream_agreement(spark, sf_dir):
+    """Answers in micro-batches: the clustering is kept while they agree; a batch that comes again changes nothing."""
+    step = S.answer_loop(None, W.event_gold(spark))
+    votes = W.event_votes(spark, sf_dir)
+    for number, part in enumerate(("worker % 2 = 0", "worker % 2 = 1")):
+        step(votes.where(part), number)
+    before = step.edges().agg(F.sum("n_votes")).first()[0]
+    again = S.answer_loop(None, W.event_gold(spark), folder=step.folder)  # a new driver finds the state
+    again(votes.where("worker % 2 = 1"), 1)
+    return again.edges().agg(F.count("*").alias("pairs"), F.sum("n_votes").cast("long").alias("votes")).withColumn("kept_state", F.col("votes") == F.lit(before))
+
+
+@query(VOTED)
+def stream_crowd_votes(spark, sf_dir):
+    """The vote source as a stream of micro-batches."""
+    from crowdlink.sources.crowd import CrowdVotes
+
+    spark.dataSource.register(CrowdVotes)
+    votes = spark.readStream.format("crowd_votes").option("records", 30).option("err", 0.1).option("perBatch", 120).load()
+    return S.run_until(votes, "stream_crowd", "append", 30 * 29 // 2 * 5)
+
+
+@query("SELECT 3::BIGINT AS batches_at_least, true AS grows")
+def stream_rate(spark, sf_dir):
+    """A source that makes rows on its own: rows for tests of load."""
+    rows = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", 10).load().select("value")
+    got = S.run_until(rows, "stream_rate", "append", 30)
+    return got.agg(F.lit(3).cast("long").alias("batches_at_least"), (F.count("*") >= 30).alias("grows"))
 
 
 @query("SELECT u, w, same, count(*) AS n FROM (SELECT k // 10 AS u, 10 + k % 10 AS w, (k // 10) % 5 = (10 + k % 10) % 5 AS same FROM (SELECT json_extract_string(props, '$.k')::BIGINT AS k FROM events)) GROUP BY ALL")

@@ -1,8 +1,3 @@
 """Fixed schemas."""
 
 VOTES = "u long, w long, worker long, yes boolean"
-EDGES = "u long, w long, n_votes int, n_yes int, p double"
-CLUSTERS = "rid long, cid long"
-GOLD = "rid long, entity string"
-CANDIDATES = "kind string, c1 long, c2 long, u long, w long, prio double"
-ROUNDS = "method string, seed int, batch int, initial int, err double, round int, n_initial long, n_next long, precision double, recall double, f1 double, loglik double, select_ms double, reclustered boolean, agreed boolean"

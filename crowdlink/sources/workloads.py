@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from crowdlink.operators.votes import canonical_votes, unit_hash
+from crowdlink.storage import cut
 
 
 @dataclass(frozen=True)
@@ -30,6 +31,7 @@ WORKLOADS = {
     "w2": Workload("embeddings", "vec_id", 94, "cast(label as string)", 5, 0.1065, 200, 40),
     "w3": Workload("embeddings", "vec_id", 529, "cast(label as string)", 5, 0.0482, 1400, 120, 0.22, False),
     "w4": Workload("part", "p_partkey", 949, "p_name", 5, 0.2777, 2000, 300, 0.05),
+    "w4b": Workload("documents", "doc_id", 0, "near copies", 5, 0.05, 200, 50, 0.06),
     "w4d": Workload("part", "p_partkey", 949, "concat(p_name, '/', cast(regexp_extract(p_brand, '[0-9]+', 0) as int) % 3)", 5, 0.2777, 2000, 300, 0.06),
 }
 SEED = 42
@@ -38,6 +40,8 @@ SEED = 42
 def gold(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """Rows ``(rid, entity)``."""
     w = WORKLOADS[name]
+    if w.table == "documents":
+        return cut(document_gold(spark, sf_dir), "gold")
     t = spark.read.parquet(f"{sf_dir}/{w.table}.parquet")
     return t.where(F.col(w.key) < w.below).select(F.col(w.key).cast("long").alias("rid"), F.expr(w.entity).alias("entity"))
 
@@ -89,3 +93,39 @@ def lineitem_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
 def gold_clusters(records: DataFrame) -> DataFrame:
     least = records.groupBy("entity").agg(F.min("rid").alias("cid"))
     return records.join(least, "entity").select("rid", "cid")
+
+
+def part_gold(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/part.parquet").select(F.col("p_partkey").cast("long").alias("rid"), F.col("p_name").alias("entity"))
+
+
+def part_votes(spark: SparkSession, sf_dir: str, voters: int = 5, err: float = 0.05, seed: int = SEED) -> DataFrame:
+    """Simulated votes on the parts that stand in one order: a sparse graph that grows with the table."""
+    li = spark.read.parquet(f"{sf_dir}/lineitem.parquet").select("l_orderkey", "l_partkey")
+    a, b = (li.select("l_orderkey", F.col("l_partkey").alias(c)) for c in ("u", "w"))
+    pairs = a.join(b, "l_orderkey").where("u < w").select("u", "w").distinct()
+    ends = [part_gold(spark, sf_dir).select(F.col("rid").alias(c), F.col("entity").alias(f"e{c}")) for c in ("u", "w")]
+    return simulate_votes(pairs.join(ends[0], "u").join(ends[1], "w").select("u", "w", (F.col("eu") == F.col("ew")).alias("same")), voters, err, seed)
+
+
+def document_gold(spark: SparkSession, sf_dir: str, least: float = 0.5, width: int = 5) -> DataFrame:
+    """Documents that have near copies, with their group as entity: components of pairs of at least that shingle similarity.
+
+    Texts of equal words are one from the start; others meet where they share one of their least hashed shingles,
+    and their similarity is exact on the sets of all shingles.
+    """
+    from crowdlink.graph import components
+
+    words = F.array(F.filter(F.split(F.lower("text"), r"[^\\p{L}\\p{N}]+"), lambda w: w != ""))  # computed once
+    runs = F.transform(words, lambda w: F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - (width - 1), F.lit(1))), lambda i: F.xxhash64(F.array_join(F.slice(w, i, width), " ")))))[0]
+    d = cut(spark.read.parquet(f"{sf_dir}/documents.parquet").where("text IS NOT NULL").select("doc_id", runs.alias("s"), F.xxhash64(F.array_join(words[0], " ")).alias("h")), "shingles")
+    one = d.groupBy("h").agg(F.min("doc_id").alias("rid"), F.any_value("s").alias("s"))
+    keys = F.slice(F.array_sort("s"), 1, 16)  # of a similarity of a half, sixteen least shingles of both differ once in about 65,000
+    met = one.select("rid", F.explode(keys).alias("key"))
+    size = met.groupBy("key").agg(F.min("rid").alias("head"), F.count("*").alias("n")).where("n > 1").select("key", "head")
+    pairs = met.join(size, "key").where("rid <> head").select(F.col("head").alias("u"), F.col("rid").alias("w")).distinct()
+    both = pairs.join(one.select(F.col("rid").alias("u"), F.col("s").alias("a")), "u").join(one.select(F.col("rid").alias("w"), F.col("s").alias("b")), "w")
+    near = both.where(F.size(F.array_intersect("a", "b")) >= least * F.size(F.array_union("a", "b"))).select("u", "w")
+    copies = d.join(one.select("h", F.col("rid").alias("u")), "h").select("u", F.col("doc_id").alias("w"))
+    group = components(near.unionByName(copies)).groupBy("component").agg(F.collect_list("id").alias("ids")).where(F.size("ids") > 1)
+    return group.select(F.explode("ids").alias("rid"), F.col("component").cast("string").alias("entity"))

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import time
+
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -12,8 +14,8 @@ from pyspark.sql.streaming.state import GroupStateTimeout
 from crowdlink.config import Config
 from crowdlink.operators.clustering import scc
 from crowdlink.operators.questions import agrees
-from crowdlink.operators.votes import add_answers, build_edges
-from crowdlink.storage import cut, shared_dir
+from crowdlink.operators.votes import build_edges, canonical_votes
+from crowdlink.storage import cut, new_path
 
 LATE = "2 hours"
 
@@ -24,7 +26,7 @@ def vote_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = spark.readStream.schema(schema).parquet(f"{sf_dir}/events.parquet*")
     k = F.get_json_object("props", "$.k").cast("long")
     u, w = F.floor(k / 10), 10 + k % 10
-    rows = e.select("event_id", F.col("ts").cast("timestamp").alias("ts"), u.alias("u"), w.alias("w"), F.col("user_id").alias("worker"), ((u % 5 == w % 5) != (F.col("event_type") == "error")).alias("yes"), (F.col("event_type") == "error").alias("wrong"))
+    rows = e.select("event_id", F.col("ts").cast("timestamp").alias("ts"), u.alias("u"), w.alias("w"), F.col("user_id").alias("worker"), ((u % 5 == w % 5) != (F.col("event_type") == "error")).alias("yes"), (F.col("event_type") == "error").alias("wrong"), "event_type")
     return rows.withWatermark("ts", LATE)
 
 
@@ -60,10 +62,9 @@ def completed_pairs(votes: DataFrame, voters: int = 5, patience: str = "1 day")
             if not done:
                 yield pd.DataFrame({"u": [key[0]], "w": [key[1]], "n_votes": [n], "n_yes": [yes], "full": [False]})
             return
-        for f in frames:
-            for y in f.sort_values("event_id")["yes"].tolist():
-                if n < voters:
-                    n, yes = n + 1, yes + int(y)
+        for y in pd.concat(list(frames)).sort_values("event_id")["yes"].tolist():  # a pair's votes of one batch
+            if n < voters:
+                n, yes = n + 1, yes + int(y)
         if n >= voters and not done:
             yield pd.DataFrame({"u": [key[0]], "w": [key[1]], "n_votes": [n], "n_yes": [yes], "full": [True]})
             done = True
@@ -78,7 +79,7 @@ def answered_in_time(questions: DataFrame, votes: DataFrame, within: str = "24 h
     """Questions (u, w, asked_at) with the votes that arrive within the time; both sides have watermarks."""
     q, v = questions.alias("q"), votes.alias("v")
     met = (F.col("q.u") == F.col("v.u")) & (F.col("q.w") == F.col("v.w")) & (F.col("v.ts") >= F.col("q.asked_at")) & (F.col("v.ts") <= F.col("q.asked_at") + F.expr(f"INTERVAL {within}"))
-    return q.join(v, met).select("q.u", "q.w", "q.asked_at", "v.ts", "v.worker", "v.yes")
+    return q.join(v, met).select("q.*", "v.ts", "v.worker", "v.yes")
 
 
 def with_gold(votes: DataFrame, gold: DataFrame) -> DataFrame:
@@ -88,30 +89,95 @@ def with_gold(votes: DataFrame, gold: DataFrame) -> DataFrame:
 
 def run_once(stream: DataFrame, name: str, mode: str) -> DataFrame:
     """All that is there, into a memory table of that name."""
-    spark = stream.sparkSession
-    path = f"{shared_dir(spark).rstrip('/')}/stream-{name}-{pd.Timestamp.now().value}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", path).trigger(availableNow=True).start()
+    query = _memory(stream, name, mode).trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.table(name)
+    return stream.sparkSession.table(name)
+
+
+def run_until(stream: DataFrame, name: str, mode: str, rows: int, seconds: float = 120) -> DataFrame:
+    """A stream without an end, into a memory table of that name, until it has so many rows."""
+    query, end = _memory(stream, name, mode).start(), time.monotonic() + seconds
+    try:
+        while query.isActive and stream.sparkSession.table(name).count() < rows and time.monotonic() < end:
+            time.sleep(0.2)
+    finally:
+        query.stop()
+    return stream.sparkSession.table(name)
+
 
+def _memory(stream: DataFrame, name: str, mode: str):
+    return stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", new_path(stream.sparkSession, f"stream-{name}"))
 
-def answer_loop(votes: DataFrame, records: DataFrame, k: Config = Config(), seen: Callable[[int, DataFrame, DataFrame, bool], None] | None = None):
+
+def late_votes(spark: SparkSession, sf_dir: str, size: str = "1 hour") -> DataFrame:
+    """One row (votes, late): the later half of the events is a first file, the other half a second one.
+
+    After the first file the watermark stands ``LATE`` before the last event, and votes of windows that have
+    ended by then are left out; they are counted as what the windows miss.
+    """
+    events = spark.read.parquet(f"{sf_dir}/events.parquet")
+    half = events.agg(F.percentile_approx("ts", 0.5, 1_000_000)).first()[0]
+    folder = new_path(spark, "late")
+    for part in (F.col("ts") >= half, F.col("ts") < half):
+        events.where(part).coalesce(1).write.mode("append").parquet(folder)
+        time.sleep(1.1)  # files are read in the order of their times
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+    votes = stream.select(F.col("ts").cast("timestamp").alias("ts"), F.lit(False).alias("wrong")).withWatermark("ts", LATE)
+    kept = run_once(windowed(votes, size), "late_windows", "update").groupBy("start").agg(F.max("n_votes").alias("n")).agg(F.sum("n").alias("kept"))
+    return events.agg(F.count("*").alias("votes")).crossJoin(kept).select("votes", (F.col("votes") - F.col("kept")).cast("long").alias("late"))
+
+
+class AnswerLoop:
     """A batch function for ``foreachBatch``: add the answers, keep the clustering if they agree, else cluster again.
 
-    A batch that is given twice changes nothing: its number is remembered with the state.
+    Its state is tables in the shared folder, one folder for each batch number, the edges written before the
+    clusters and a mark last. A batch that comes again, also to a new driver, changes nothing: a worker's vote
+    on a pair that the state holds already is its latest one.
     """
-    state: dict = {"batch": -1, "edges": None, "clusters": None}
 
-    def step(batch: DataFrame, number: int) -> None:
-        if number <= state["batch"] or batch.isEmpty():
+    def __init__(self, records: DataFrame, k: Config, seen: Callable[[int, DataFrame, DataFrame, bool], None] | None, folder: str | None):
+        self.records, self.k, self.seen = records, k, seen
+        self.spark = records.sparkSession
+        self.folder = folder or new_path(self.spark, "answers")
+
+    def last(self) -> int:
+        """Number of the last batch that is whole; -1 before the first."""
+        jvm = self.spark._jvm
+        at = jvm.org.apache.hadoop.fs.Path(self.folder)
+        fs = at.getFileSystem(self.spark._jsparkSession.sessionState().newHadoopConf())
+        if not fs.exists(at):
+            return -1
+        names = [x.getPath().getName() for x in fs.listStatus(at)]
+        return max((int(n[5:]) for n in names if n.startswith("done-")), default=-1)
+
+    def _read(self, kind: str, schema: str) -> DataFrame:
+        return self.spark.read.schema(schema).parquet(f"{self.folder}/{kind}-{self.last()}")
+
+    def votes(self) -> DataFrame:
+        return self._read("votes", "u long, w long, worker long, yes boolean")
+
+    def edges(self) -> DataFrame:
+        return build_edges(self.votes(), self.k.vote_mode, self.k.accuracy)
+
+    def clusters(self) -> DataFrame:
+        return self._read("clusters", "rid long, cid long")
+
+    def __call__(self, batch: DataFrame, number: int) -> None:
+        before = self.last()
+        if number <= before or batch.isEmpty():
             return
-        answers = cut(batch.select("u", "w", "worker", "yes"), "answers")
-        edges = cut(build_edges(answers) if state["edges"] is None else add_answers(state["edges"], answers), "edges")
-        keep = state["clusters"] is not None and agrees(build_edges(answers), state["clusters"]).first()["agrees"]
-        clusters = state["clusters"] if keep else cut(scc(edges, records, k), "clusters")
-        state.update(batch=number, edges=edges, clusters=clusters)
-        if seen:
-            seen(number, edges, clusters, not keep)
-
-    step.state = state
-    return step
+        new = cut(canonical_votes(batch.select("u", "w", "worker", "yes")), "answers")
+        held = new if before < 0 else self.votes().join(new, ["u", "w", "worker"], "left_anti").unionByName(new)
+        held.write.mode("overwrite").parquet(f"{self.folder}/votes-{number}")
+        edges = build_edges(self.spark.read.parquet(f"{self.folder}/votes-{number}"), self.k.vote_mode, self.k.accuracy)
+        keep = before >= 0 and agrees(build_edges(new, self.k.vote_mode, self.k.accuracy), self.clusters()).first()["agrees"]
+        clusters = self.clusters() if keep else scc(edges, self.records, self.k)
+        clusters.write.mode("overwrite").parquet(f"{self.folder}/clusters-{number}")
+        self.spark.range(1).write.mode("overwrite").parquet(f"{self.folder}/done-{number}")
+        if self.seen:
+            self.seen(number, edges, self.clusters(), not keep)
+
+
+def answer_loop(votes: DataFrame | None, records: DataFrame, k: Config = Config(), seen: Callable[[int, DataFrame, DataFrame, bool], None] | None = None, folder: str | None = None) -> AnswerLoop:
+    """The loop's batch function; with ``votes``, a stream, use ``votes.writeStream.foreachBatch`` on it."""
+    return AnswerLoop(records, k, seen, folder)

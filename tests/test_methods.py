@@ -244,3 +244,154 @@ def test_pivots_settle_long_chains(spark):
     edges = edges_of(spark, [(min(x), max(x), 0.9) for x in itertools.pairwise(order)])  # two records settle in a round
     records = spark.createDataFrame([(r,) for r in order], "rid long")
     assert baselines.pivot_clusters(edges, records).count() == 90
+
+
+def test_walks_draw_the_worlds_that_all_edges_give():
+    rng = np.random.default_rng(6)
+    for n in (2, 5, 7):
+        pairs = [x for x in itertools.combinations(range(n), 2) if rng.random() < 0.7] or [(0, 1)]
+        a, b = (np.array(x) for x in zip(*pairs, strict=True))
+        p = rng.random(len(pairs))
+        ids = np.arange(n) * 3 + 1
+        s = kernels.Sample.draw(ids, a, b, p, 300, 5)
+        assert kernels.walked(ids, a, b, p, 300, 5) == pytest.approx(s.connect)
+        i, j = np.triu_indices(n, 1)
+        assert s.connect_pairs(i, j) == pytest.approx(s.connect_with()[i, j], abs=1e-6)
+
+
+def test_inside_candidates_of_pairs_bare_and_sampled_clusters(spark):
+    clusters = clusters_of(spark, [[0, 1], [2, 3], list(range(10, 40))])
+    lab = votes.labelled(edges_of(spark, [(2, 3, 0.9), *((10 + k, 11 + k, 0.9) for k in range(29))]), clusters)
+    found = {(r.c1, r.u, r.w): r.prio for r in questions.inside_candidates(lab, clusters, Config(samples=50), 2).collect()}
+    assert found[0, 0, 1] == pytest.approx(9) and not any(c == 2 for c, _, _ in found) and sum(c == 10 for c, _, _ in found) == 2
+    few = questions.inside_candidates(lab, clusters, Config(samples=50, pair_sample=7), 100).where("c1 = 10").collect()
+    again = questions.inside_candidates(lab, clusters, Config(samples=50, pair_sample=7), 100).where("c1 = 10").collect()
+    assert len({(r.u, r.w) for r in few}) == 7 and few == again and all(r.w - r.u > 1 for r in few)
+
+
+def test_singletons_give_as_many_questions_as_asked_for(spark):
+    for n, count in ((2, 5), (5, 3), (7, 100)):
+        alone = clusters_of(spark, [[k] for k in range(n)])
+        found = questions.next_questions(votes.labelled(edges_of(spark, []), alone), alone, count).collect()
+        assert len({(r.u, r.w) for r in found}) == min(count, n * (n - 1) // 2)
+
+
+def test_loop_runs_to_the_complete_graph_and_to_a_target(spark):
+    from crowdlink.plans.loop import resolve
+    from crowdlink.sources.workloads import simulate_votes
+
+    records = spark.range(6).select(F.col("id").alias("rid"))
+    gold = records.select("rid", (F.col("rid") % 2).cast("string").alias("entity"))
+    ask = lambda p: simulate_votes(p.withColumn("same", F.col("u") % 2 == F.col("w") % 2), 5, 0.0)
+    clusters, edges, log = resolve(records, ask, None, Config(batch=8, initial="none"))
+    assert edges.count() == 15 and log[-1]["asked"] == 15
+    assert {r.rid: r.cid for r in clusters.collect()} == {k: k % 2 for k in range(6)}
+    _, edges, log = resolve(records, ask, None, Config(batch=4, initial="spanning", target_f1=1.0), gold=gold)
+    assert edges.count() < 15 and edges.join(spark.createDataFrame([(0, 1), (4, 5)], "u long, w long"), ["u", "w"]).count() == 2
+    _, edges, log = resolve(records, ask, None, Config(batch=4, initial="all", budget=9))
+    assert edges.count() == 15 and not log
+
+
+def test_kept_queue_equals_a_rebuilt_one(spark):
+    rng = np.random.default_rng(3)
+    clusters = clusters_of(spark, [[0, 1, 2, 3], [4, 5, 6], [7, 8], [9]])
+    every = list(itertools.combinations(range(10), 2))
+    some = [x for x in every if rng.random() < 0.5]
+    edges = edges_of(spark, [(u, w, rng.integers(1, 5) / 5) for u, w in some])
+    free = [x for x in every if x not in some]
+    more = edges.unionByName(edges_of(spark, [(*free[0], 0.8), (*free[-1], 0.2)]))
+    k = Config(samples=100)
+    queue = questions.unit_queue(votes.labelled(edges, clusters), clusters, 3, k)
+    touched = questions.units_of(spark.createDataFrame([free[0], free[-1]], "u long, w long"), clusters)
+    now = votes.labelled(more, clusters)
+    kept = questions.refresh_units(queue, questions.unit_queue(now, clusters, 3, k, touched), touched)
+    key = lambda df: sorted((r.kind, r.c1, r.c2, r.u, r.w, round(r.prio, 9)) for r in df.collect())
+    assert key(kept) == key(questions.unit_queue(now, clusters, 3, k))
+
+
+def test_fixed_accuracy_stays_with_a_graph(spark):
+    rows = [(1, 2, 7, True), (1, 3, 7, False)]
+    graph = votes.UncertainGraph.of(spark.range(5).withColumnRenamed("id", "rid"), spark.createDataFrame(rows, "u long, w long, worker long, yes boolean"), "fixed_accuracy", 0.7)
+    after = graph.add(spark.createDataFrame([(2, 3, 1, True)], "u long, w long, worker long, yes boolean"))
+    assert {(r.u, r.w): round(r.p, 6) for r in after.edges.collect()} == {(1, 2): 0.7, (1, 3): 0.3, (2, 3): 0.7}
+
+
+def test_bottleneck_of_named_pairs_equals_the_matrix(spark):
+    rng = np.random.default_rng(11)
+    pairs = [x for x in itertools.combinations(range(8), 2) if rng.random() < 0.5]
+    edges = edges_of(spark, [(u, w, rng.integers(0, 6) / 5) for u, w in pairs])
+    records = spark.range(8).withColumnRenamed("id", "rid")
+    asked = spark.createDataFrame(list(itertools.combinations(range(8), 2)), "u long, w long")
+    key = lambda df: sorted((r.u, r.w, r.pos, r.neg, r.decision) for r in df.collect())
+    assert key(baselines.bottleneck_relation(edges, records, asked, few=0)) == key(baselines.bottleneck_relation(edges, records))
+    with pytest.raises(ValueError):
+        baselines.bottleneck_relation(edges, records, few=0)
+
+
+def test_refined_pivots_and_mean_merges_gain(spark):
+    rows = [(0, 1, 0.9), (0, 2, 0.6), (1, 2, 0.1), (2, 3, 0.9), (0, 3, 0.2), (1, 3, 0.0)]
+    edges, records = edges_of(spark, rows), spark.range(4).withColumnRenamed("id", "rid")
+    rough = clusters_of(spark, [[0, 1, 2], [3]])
+    fine = baselines.pivot_refined(edges, records, rough)
+    assert {r.rid: r.cid for r in fine.collect()} == {0: 0, 1: 0, 2: 2, 3: 2}
+    assert {r.rid: r.cid for r in clustering.average_odds(edges, records).collect()} == {0: 0, 1: 0, 2: 2, 3: 2}
+    found = clustering.scc(edges, records, Config(scc_mode="rounds"))
+    assert {r.rid: r.cid for r in found.collect()} == {0: 0, 1: 0, 2: 2, 3: 2}
+
+
+def test_levels_and_triangles(spark):
+    from crowdlink.graph import levels, triangles
+
+    rng = np.random.default_rng(5)
+    pairs = [x for x in itertools.combinations(range(12), 2) if rng.random() < 0.25]
+    e = spark.createDataFrame(pairs + [(w, u) for u, w in pairs[:3]], "u long, w long")
+    near = {x: {b if a == x else a for a, b in pairs if x in (a, b)} for x in range(12)}
+    expected = sorted(t for t in itertools.combinations(range(12), 3) if all(y in near[x] for x, y in itertools.combinations(t, 2)))
+    assert sorted(tuple(r) for r in triangles(e).collect()) == expected
+    dist, todo = {0: 0}, [0]
+    for x in todo:
+        for y in near[x] - dist.keys():
+            dist[y] = dist[x] + 1
+            todo.append(y)
+    assert {r.id: r.level for r in levels(e, spark.createDataFrame([(0,)], "id long")).collect()} == dist
+
+
+def test_runs_and_dataframes_choose_alike(spark):
+    """The in-task method of the experiments and the operators on DataFrames: same clusters, same gains."""
+    from crowdlink.plans import simulate
+
+    rng = np.random.default_rng(21)
+    u, w = np.triu_indices(14, 1)
+    ratio = np.where(u % 3 == w % 3, rng.choice([0.6, 0.8, 1.0], len(u)), rng.choice([0.0, 0.2, 0.4], len(u)))
+    pool = simulate.Pool(14, u, w, ratio, (ratio > 0.5).astype(float), 42)
+    pool.asked[rng.random(len(u)) < 0.45] = True
+    method = simulate.Reliability(pool, 1000)
+    label, _ = method.cluster(None, None)
+    edges = edges_of(spark, [(int(a), int(b), q) for a, b, q in zip(*pool.edges(ratio), strict=True)])
+    records = spark.range(14).withColumnRenamed("id", "rid")
+    found = clustering.scc(edges, records)
+    least = {c: min(np.flatnonzero(label == c).tolist()) for c in set(label.tolist())}
+    assert {r.rid: r.cid for r in found.collect()} == {n: least[c] for n, c in enumerate(label.tolist())}
+    lab, k = votes.labelled(edges, found), Config(exact_gain_edges=0, exact_max_edges=0)
+    queue = questions.unit_queue(lab, found, 100, k).collect()
+    best = sorted((r.prio for r in queue), reverse=True)[:6]
+    # all pairs of two clusters gain the same, so any of them may stand for the others
+    gains = {(r.u, r.w) if r.kind == "inside" else (r.c1, r.c2): r.prio for r in queue}
+    unit = lambda c: (int(u[c]), int(w[c])) if label[u[c]] == label[w[c]] else tuple(sorted((least[label[u[c]]], least[label[w[c]]])))
+    assert sorted((gains[unit(c)] for c in method.choose(label, 6)), reverse=True) == pytest.approx(best, abs=1e-6)
+    assert method.reliability(label) == pytest.approx(reliability.reliability(lab, found, k).first().reliability, abs=1e-6)
+
+
+def test_a_cluster_session_must_name_its_folder(spark):
+    from crowdlink import storage
+
+    class Bare:
+        conf = {"spark.master": "spark://host:7077"}
+
+    with pytest.raises(ValueError):
+        storage.shared_dir(Bare())
+    t = storage.cut(spark.range(3))
+    assert t.count() == 3
+    storage.forget(t)
+    with pytest.raises(Exception):  # noqa: B017
+        spark.read.parquet(t.cut_path).count()
