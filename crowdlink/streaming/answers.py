@@ -110,15 +110,15 @@ def _memory(stream: DataFrame, name: str, mode: str):
 
 
 def late_votes(spark: SparkSession, sf_dir: str, size: str = "1 hour") -> DataFrame:
-    """One row (votes, late): the later half of the events is a first file, the other half a second one.
+    """One row (votes, late): the later half of the events comes in two files, the last quarter first, and then the other half.
 
-    After the first file the watermark stands ``LATE`` before the last event, and votes of windows that have
-    ended by then are left out; they are counted as what the windows miss.
+    After the first file the watermark stands ``LATE`` before the last event; it holds for late votes one batch
+    later. Votes of windows that have ended by then are left out; they are counted as what the windows miss.
     """
     events = spark.read.parquet(f"{sf_dir}/events.parquet")
-    half = events.agg(F.percentile_approx("ts", 0.5, 1_000_000)).first()[0]
+    half, most = events.agg(F.percentile_approx("ts", [0.5, 0.75], 1_000_000)).first()[0]
     folder = new_path(spark, "late")
-    for part in (F.col("ts") >= half, F.col("ts") < half):
+    for part in (F.col("ts") >= most, (F.col("ts") >= half) & (F.col("ts") < most), F.col("ts") < half):
         events.where(part).coalesce(1).write.mode("append").parquet(folder)
         time.sleep(1.1)  # files are read in the order of their times
     stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(folder)
