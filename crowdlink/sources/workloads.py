@@ -116,7 +116,7 @@ def document_gold(spark: SparkSession, sf_dir: str, least: float = 0.5, width: i
     """
     from crowdlink.graph import components
 
-    words = F.array(F.filter(F.split(F.lower("text"), r"[^\\p{L}\\p{N}]+"), lambda w: w != ""))  # computed once
+    words = F.array(F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), lambda w: w != ""))  # computed once
     runs = F.transform(words, lambda w: F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - (width - 1), F.lit(1))), lambda i: F.xxhash64(F.array_join(F.slice(w, i, width), " ")))))[0]
     d = cut(spark.read.parquet(f"{sf_dir}/documents.parquet").where("text IS NOT NULL").select("doc_id", runs.alias("s"), F.xxhash64(F.array_join(words[0], " ")).alias("h")), "shingles")
     one = d.groupBy("h").agg(F.min("doc_id").alias("rid"), F.any_value("s").alias("s"))
