@@ -145,17 +145,15 @@ def test_gradients_of_the_recurrent_model():
     tokens = rng.integers(0, 11, (6, 3)).astype(np.int32)
     own = np.array([[0, 1, 2]] * 3 + [[3, 1, 2]] * 3)
 
+    before, opens = recurrent._before(tokens, own, 0, 6, 3, 0)
+    assert [list(x) for x in opens] == [[True] * 3, [False] * 3, [False] * 3, [True, False, False], [False] * 3, [False] * 3]
+    assert list(before[0]) == [0, 0, 0] and list(before[3]) == [0, tokens[2, 1], tokens[2, 2]]
+
     def forward():
-        h, kept = np.zeros((3, 5)), []
-        for t in range(6):
-            opens = np.ones(3, bool) if t == 0 else own[t] != own[t - 1]
-            before = np.where(opens, 0, tokens[t - 1] if t else 0)
-            h_in = np.where(opens[:, None], 0, h)
-            h, z, r, n, hn = model.step(model.p["x"][before], h_in)
-            kept.append((before, opens, h_in, z, r, n, hn, h))
-        return kept, -model.scores(np.stack([k[-1] for k in kept]).reshape(-1, 5), tokens.reshape(-1)).mean()
-
-    grads = model._gradients(tokens, own, forward()[0])
+        run = model._forward(before, opens, np.zeros((5, 3)))
+        return run, -model.scores(run[-1].transpose(0, 2, 1).reshape(-1, 5), tokens.reshape(-1)).mean()
+
+    grads = model._gradients(tokens, own, before, opens, forward()[0])
     for name in model.p:
         for _ in range(4):
             at = tuple(rng.integers(0, s) for s in model.p[name].shape)
