@@ -4,6 +4,7 @@ import math
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from crowdlink import queries as core
@@ -76,3 +77,12 @@ def test_answer_loop_is_idempotent(spark):
     later(votes.where("worker >= 3"), 1)  # some votes come again in another batch
     assert [c[0] for c in calls] == [0, 1] and calls[1][1] >= calls[0][1]
     assert {(r.u, r.w): r.n_votes for r in later.edges().collect()} == {(r.u, r.w): r["count"] for r in votes.groupBy("u", "w").count().collect()}
+
+
+def test_late_votes_split_at_the_exact_middle(spark, tmp_path):
+    from crowdlink.streaming import answers
+
+    rows = spark.range(600_000).select("id", F.timestamp_micros(1_704_067_200_000_000 + F.pmod(F.xxhash64("id"), F.lit(2_592_000_000_000))).cast("timestamp_ntz").alias("ts"))
+    rows.repartition(6).write.parquet(str(tmp_path / "events.parquet"))
+    sql = core.ORACLES["stream_late"].replace("FROM events", f"FROM read_parquet('{tmp_path}/events.parquet/*.parquet')")
+    assert tuple(answers.late_votes(spark, str(tmp_path)).first()) == duckdb.sql(sql).fetchall()[0]
