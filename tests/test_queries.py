@@ -86,3 +86,8 @@ def test_late_votes_split_at_the_exact_middle(spark, tmp_path):
     rows.repartition(6).write.parquet(str(tmp_path / "events.parquet"))
     sql = core.ORACLES["stream_late"].replace("FROM events", f"FROM read_parquet('{tmp_path}/events.parquet/*.parquet')")
     assert tuple(answers.late_votes(spark, str(tmp_path)).first()) == duckdb.sql(sql).fetchall()[0]
+
+
+@pytest.mark.parametrize("name", ["stream_dedup"])
+def test_appended_rows_of_a_stream_are_in_files(spark, name):
+    assert core.QUERIES[name](spark, SF).inputFiles()  # the driver holds none of them
