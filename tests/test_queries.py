@@ -88,6 +88,6 @@ def test_late_votes_split_at_the_exact_middle(spark, tmp_path):
     assert tuple(answers.late_votes(spark, str(tmp_path)).first()) == duckdb.sql(sql).fetchall()[0]
 
 
-@pytest.mark.parametrize("name", ["stream_dedup", "stream_join"])
+@pytest.mark.parametrize("name", ["stream_dedup", "stream_join", "stream_sessions"])
 def test_appended_rows_of_a_stream_are_in_files(spark, name):
     assert core.QUERIES[name](spark, SF).inputFiles()  # the driver holds none of them
