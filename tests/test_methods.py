@@ -395,3 +395,23 @@ def test_a_cluster_session_must_name_its_folder(spark):
     storage.forget(t)
     with pytest.raises(Exception):  # noqa: B017
         spark.read.parquet(t.cut_path).count()
+
+
+def test_merges_by_a_matrix_equal_those_by_links():
+    rng = np.random.default_rng(5)
+    for n in (2, 9, 40, 90):
+        u, w = np.triu_indices(n, 1)
+        keep = rng.random(len(u)) < 0.7
+        odds = np.round(rng.choice([-2.0, -1.0, 0.5, 1.0, 3.0], len(u)), 12)[keep]
+        by_links = kernels.agglomerate(n, u[keep], w[keep], odds)
+        assert kernels.agglomerate_dense(n, u[keep], w[keep], odds).tolist() == by_links.tolist()
+
+
+def test_components_that_fit_a_task_take_no_rounds(spark, monkeypatch):
+    def no(*args):
+        raise AssertionError("a round over all links")
+
+    monkeypatch.setattr(clustering, "safe_merges", no)
+    edges = edges_of(spark, [(0, 1, 0.9), (1, 2, 0.8), (3, 4, 0.7), (2, 3, 0.1)])
+    found = clustering.scc(edges, spark.range(6).withColumnRenamed("id", "rid"))
+    assert {r.rid: r.cid for r in found.collect()} == {0: 0, 1: 0, 2: 0, 3: 3, 4: 3, 5: 5}
