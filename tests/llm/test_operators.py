@@ -531,3 +531,12 @@ def test_chat_parts_become_ordered_placeholders(spark):
     r = chat.format_turns(df).first()
     assert r.formatted == "<user>\nsee \\lb\\g<image:1><audio:2><document:3></turn>\n<assistant>\n</turn>\n"
     assert [(a.turn_index, a.n, a.kind, a.ref, a.tokens) for a in r.attachments] == [(0, 1, "image", "a.png", 77), (0, 2, "audio", "b.wav", 128), (0, 3, "document", None, 512)]
+
+
+def test_lm_learns_in_as_many_passes_at_any_size(spark, monkeypatch):
+    passes = []
+    monkeypatch.setattr(lm_score, "learn", lambda texts, of, model, n: passes.append(n))
+    docs = spark.createDataFrame([(1, "a", False)], "id long, text string, held_out boolean")
+    for c in (10, 5_000_000):
+        lm_score.fit(docs, spark.createDataFrame([(b"a", c)], "word binary, c long"))
+    assert passes[0] == passes[1]
