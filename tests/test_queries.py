@@ -91,3 +91,9 @@ def test_late_votes_split_at_the_exact_middle(spark, tmp_path):
 @pytest.mark.parametrize("name", ["stream_dedup", "stream_join", "stream_sessions"])
 def test_appended_rows_of_a_stream_are_in_files(spark, name):
     assert core.QUERIES[name](spark, SF).inputFiles()  # the driver holds none of them
+
+
+@pytest.mark.parametrize("name", ["bottleneck_faults"])
+def test_query_needs_its_given_table(spark, tmp_path, name):
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        core.QUERIES[name](spark, str(tmp_path)).count()
