@@ -93,7 +93,7 @@ def test_appended_rows_of_a_stream_are_in_files(spark, name):
     assert core.QUERIES[name](spark, SF).inputFiles()  # the driver holds none of them
 
 
-@pytest.mark.parametrize("name", ["bottleneck_faults", "cost_reduction_published", "partition_counts", "source_crowd_votes", "stream_crowd_votes"])
+@pytest.mark.parametrize("name", ["bottleneck_faults", "cost_reduction_published", "partition_counts", "source_crowd_votes", "stream_crowd_votes", "stream_rate"])
 def test_query_needs_its_given_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
         core.QUERIES[name](spark, str(tmp_path)).count()
