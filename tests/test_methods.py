@@ -415,3 +415,40 @@ def test_components_that_fit_a_task_take_no_rounds(spark, monkeypatch):
     edges = edges_of(spark, [(0, 1, 0.9), (1, 2, 0.8), (3, 4, 0.7), (2, 3, 0.1)])
     found = clustering.scc(edges, spark.range(6).withColumnRenamed("id", "rid"))
     assert {r.rid: r.cid for r in found.collect()} == {0: 0, 1: 0, 2: 0, 3: 3, 4: 3, 5: 5}
+
+
+def test_triangles_of_many_passes_and_of_any_ids(spark, monkeypatch):
+    from crowdlink import triangles as T
+
+    for name, size in (("BLOCK", 16), ("HELD", 32), ("ROW", 8), ("TESTED", 5)):
+        monkeypatch.setattr(T, name, size)
+    rng = np.random.default_rng(6)
+    pairs = [x for x in itertools.combinations(range(24), 2) if rng.random() < 0.35]
+    met = set(pairs)
+    expected = [t for t in itertools.combinations(range(24), 3) if met >= set(itertools.combinations(t, 2))]
+    rows = [(w, u) for u, w in pairs[::2]] + pairs + [(3, 3), (None, 4)]
+    for kind, of in (("long", lambda x: x * 1000), ("int", lambda x: x - 7), ("string", lambda x: chr(97 + x)), ("long", lambda x: x << 50)):
+        e = spark.createDataFrame([tuple(None if x is None else of(x) for x in r) for r in rows], f"u {kind}, w {kind}")
+        assert sorted(tuple(r) for r in T.triangles(e).collect()) == [tuple(map(of, t)) for t in expected]
+        assert T.count_triangles(e).first().triangles == len(expected)
+    assert T.count_triangles(e.limit(0)).first().triangles == 0 and T.triangles(e.limit(0)).count() == 0
+
+
+def test_triangles_shuffle_no_pairs_of_neighbours(spark):
+    from crowdlink import graph
+
+    written = lambda: sum(int(s.shuffleWriteRecords()) for s in stages())
+    store = spark.sparkContext._jsc.sc().statusStore()
+
+    def stages():
+        found = store.stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), None)
+        return [found.apply(k) for k in range(found.size())]
+
+    whole = spark.range(120).select(F.col("id").alias("u")).join(spark.range(120).select(F.col("id").alias("w")), F.col("u") < F.col("w"))
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
+    try:
+        before = written()
+        assert graph.triangles(whole).count() == 120 * 119 * 118 // 6
+        assert written() - before < 50_000
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
