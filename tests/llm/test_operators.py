@@ -175,6 +175,37 @@ def test_recurrent_probabilities_sum_to_one_and_state_is_carried():
     assert together == pytest.approx([model.score_texts([t], 0)[0] for t in texts], rel=1e-4)
 
 
+def test_words_of_texts_equal_those_of_bytes():
+    import pyarrow as pa
+
+    rnd = random.Random(8)
+    texts = [None, "", " ", "A\x1cB \u00a0É\tc\x0b\x0cD\r\n", "\u2003x", *("".join(rnd.choice("aB \n\u0130ß") for _ in range(rnd.randint(0, 30))) for _ in range(200))]
+    expected = [(t or "").encode().lower().split() for t in texts]
+    column = pa.array(["x y", *texts]).slice(1)
+    words, sizes = lm_score.words_of(column)
+    assert words.to_pylist() == [w for x in expected for w in x] and sizes.tolist() == [len(x) for x in expected]
+    known = pa.array([b"a", b"\n"], pa.binary())
+    numbers, ends = lm_score.with_ends(lm_score.numbered(words, known, 2), sizes, 1)
+    assert numbers.tolist() == [k for x in expected for k in [*(0 if w == b"a" else 2 for w in x), 1]]
+    assert all(numbers[ends] == 1) and len(ends) == len(texts)
+    assert [t for _, p in lm_score.pieces(column) for t in p.to_pylist()] == texts
+
+
+def test_sums_of_runs_and_scores_of_large_weights():
+    rng = np.random.default_rng(4)
+    size = np.array([1, 60, 2, 24, 25, 1, 23, 200])
+    at = np.append(0, np.cumsum(size))
+    rows = rng.standard_normal((at[-1], 5))
+    by, sums = recurrent._sums(rows, at)
+    assert sorted(by.tolist()) == list(range(len(size))) and sums == pytest.approx(np.add.reduceat(rows, at[:-1])[by])
+    model = recurrent.Recurrent.fresh(10, size=6, classes=3)
+    h = np.tanh(rng.standard_normal((1, 6))).astype(np.float32)
+    for scale in (1, 300):  # without the greatest score taken away first, exponentials of the second would overflow
+        model.p["c"] *= scale
+        model.p["w"] *= scale
+        assert np.exp(model.scores(np.repeat(h, 11, axis=0), np.arange(11))).sum() == pytest.approx(1, abs=1e-4)
+
+
 def test_lm_scores(spark):
     rnd = random.Random(5)
     texts = [None, "", "A b", *(" ".join(rnd.choice("Abcdefg") for _ in range(rnd.randint(1, 40))) for _ in range(80)), "rare" + " x" * 3000, "  word\x0bsplit"]
