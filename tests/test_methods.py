@@ -382,6 +382,81 @@ def test_runs_and_dataframes_choose_alike(spark):
     assert method.reliability(label) == pytest.approx(reliability.reliability(lab, found, k).first().reliability, abs=1e-6)
 
 
+def noisy_pool(sizes, share, seed, voters=5, err=0.1):
+    """A pool of all matching pairs and a share of the others, with votes of that error, and the entities."""
+    from crowdlink.plans import simulate
+
+    rng = np.random.default_rng(seed)
+    entity = rng.permutation(np.repeat(np.arange(len(sizes)), sizes))
+    u, w = np.triu_indices(len(entity), 1)
+    same = entity[u] == entity[w]
+    kept = same | (rng.random(len(u)) < share)
+    u, w, same = u[kept], w[kept], same[kept]
+    yes = rng.binomial(voters, np.where(same, 1 - err, err))
+    return simulate.Pool(len(entity), u, w, yes / voters, (2 * yes > voters).astype(float), seed), entity
+
+
+@pytest.mark.parametrize("levels", [5, 1])
+def test_growing_clusters_are_those_of_greedy_on_all_links(levels):
+    from crowdlink.operators import kernels
+    from crowdlink.plans import simulate
+
+    for seed in range(6):
+        pool, _ = noisy_pool([9, 6, 5, 4, 3, 2, 2, 1], 0.7, seed, err=0.25)
+        odds = kernels.log_odds(pool.ratio if levels > 1 else np.where(pool.majority > 0.5, 0.9, 0.1))
+        growing = simulate.Growing(pool.n, np.unique(odds))
+        for end in range(7, len(odds) + 7, 7):
+            at, some = pool.order[:end], pool.order[end - 7 : end]
+            found = growing.add(pool.u[some], pool.w[some], odds[some])
+            assert found.tolist() == kernels.agglomerate(pool.n, pool.u[at], pool.w[at], odds[at]).tolist()
+
+
+@pytest.mark.parametrize("method", ["random", "reliability", "bdense"])
+def test_a_round_merges_again_only_what_its_answers_change(method, monkeypatch):
+    from crowdlink.plans import simulate
+
+    seen, merge = [], simulate.agglomerate
+    monkeypatch.setattr(simulate, "agglomerate", lambda n, a, *more, **named: seen.append(len(a)) or merge(n, a, *more, **named))
+    pool, entity = noisy_pool([3] * 60, 0.2, 5, err=0.02)
+    rounds = simulate.run(pool, entity, method, 5, 1500, 50, None, most_rounds=20)
+    assert len(rounds) == 21 and max(seen[2:]) < 200  # of more than 1,500 links; the first clustering takes two calls at most
+
+
+def test_closure_passes_each_pair_once():
+    """Rounds of closure until no pair is open, against its definition on all asked pairs."""
+    from crowdlink.operators import kernels
+    from crowdlink.plans import simulate
+
+    pool, _ = noisy_pool([6, 5, 4, 3, 2, 2, 1, 1, 1], 0.6, 8, err=0.2)
+    pool.asked[pool.order[:9]] = True
+    method = simulate.Transitive(pool)
+    label, _ = method.cluster(None, None)
+    while True:
+        yes = pool.asked & (pool.majority > 0.5)
+        assert label.tolist() == kernels.components(pool.n, pool.u[yes], pool.w[yes]).tolist()
+        keys = simulate.unit_keys(label, pool.u, pool.w)
+        open_ = ~pool.asked & (label[pool.u] != label[pool.w]) & ~np.isin(keys, keys[pool.asked & ~yes])
+        fresh = method.choose(label, 4)
+        assert fresh.tolist() == [x for x in pool.order.tolist() if open_[x]][:4]
+        if not len(fresh):
+            break
+        pool.asked[fresh] = True
+        label, _ = method.cluster(label, fresh)
+
+
+def test_packed_pairs_come_back():
+    import pyarrow as pa
+
+    from crowdlink.plans import experiments
+
+    rng = np.random.default_rng(4)
+    t = pa.table({"vseed": pa.array(rng.integers(0, 2, 900), pa.int32()), "verr": pa.array([0.05] * 900), "u": rng.integers(-(2**40), 2**40, 900), "w": rng.integers(0, 90, 900), "n_yes": pa.array(rng.integers(0, 11, 900), pa.int32())})
+    parts = pa.Table.from_batches(list(experiments.packed(iter(t.to_batches(100)), 250))).to_pandas()
+    for seed, g in t.to_pandas().groupby("vseed"):
+        back = experiments.unpacked(parts["pairs"][parts["vseed"] == seed])
+        assert [x.tolist() for x in back] == [g[c].tolist() for c in ("u", "w", "n_yes")]
+
+
 def test_a_cluster_session_must_name_its_folder(spark):
     from crowdlink import storage
 
