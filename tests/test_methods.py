@@ -422,6 +422,31 @@ def test_a_round_merges_again_only_what_its_answers_change(method, monkeypatch):
     assert len(rounds) == 21 and max(seen[2:]) < 200  # of more than 1,500 links; the first clustering takes two calls at most
 
 
+@pytest.mark.parametrize("tie", ["hash", "size"])
+def test_reliability_keeps_what_answers_do_not_change(tie, monkeypatch):
+    """Choices and scores from what is kept are those of a look at all pairs, which early rounds do not take."""
+    from crowdlink.plans import simulate
+
+    pool, _ = noisy_pool([9, 7, *[4] * 6, *[2] * 15], 0.5, 3, err=0.2)
+    looks, look = [], simulate.Reliability._choose
+    monkeypatch.setattr(simulate.Reliability, "_choose", lambda *x: looks.append(1) or look(*x))
+    pool.asked[pool.order[:40]] = True
+    method = simulate.Reliability(pool, 60, tie=tie)
+    label, _ = method.cluster(None, None)
+    for n in range(300):
+        other = simulate.Reliability(pool, 60, tie=tie)
+        other.cluster(None, None)
+        assert method.reliability(label) == pytest.approx(other.reliability(label), rel=1e-12)
+        fresh = method.choose(label, 6)
+        assert len(looks) == 0 or n >= 20
+        assert fresh.tolist() == look(other, label, 6).tolist()
+        if not len(fresh):
+            break
+        pool.asked[fresh] = True
+        label, _ = method.cluster(label, fresh)
+    assert pool.asked.all() and looks
+
+
 def test_closure_passes_each_pair_once():
     """Rounds of closure until no pair is open, against its definition on all asked pairs."""
     from crowdlink.operators import kernels
