@@ -447,6 +447,40 @@ def test_reliability_keeps_what_answers_do_not_change(tie, monkeypatch):
     assert pool.asked.all() and looks
 
 
+def test_best_paths_without_a_matrix():
+    """Clusters and choices of best paths, against the matrices of all pairs of records."""
+    from crowdlink.operators import kernels
+    from crowdlink.plans import simulate
+
+    for seed, err in itertools.product(range(6), (0.1, 0.3)):
+        pool, _ = noisy_pool([8, 6, 5, 4, 3, 2, 2, 1, 1], 0.6, seed, err=err)
+        for end in (0, 5, 20, 60, 120, 200, len(pool.u) - 3):
+            pool.asked[pool.order[:end]] = True
+            method = simulate.Bottleneck(pool)
+            label, _ = method.cluster(None, None)
+            pos, neg = kernels.bottleneck(pool.n, *pool.edges(pool.ratio))
+            assert label.tolist() == kernels.components(pool.n, *np.nonzero(np.triu(pos > neg, 1))).tolist()
+            free = np.flatnonzero(~pool.asked)
+            x, y = pos[pool.u[free], pool.w[free]], neg[pool.u[free], pool.w[free]]
+            best = free[np.lexsort((pool.hash[free], -np.maximum(x, np.where(x <= y, 1 - y, 0))))]
+            assert method.choose(label, 9).tolist() == best[:9].tolist()
+
+
+def test_best_paths_take_memory_for_pairs_that_may_be_asked():
+    """Not for all pairs of 6,000 records, which are 576 MB in two matrices."""
+    import tracemalloc
+
+    from crowdlink.plans import simulate
+
+    u = np.repeat(np.arange(0, 6000, 3), 2)
+    w, yes = u + np.tile([1, 2], 2000), np.tile([1.0, 0.8], 2000)
+    tracemalloc.start()
+    rounds = simulate.run(simulate.Pool(6000, u, w, yes, np.ones(4000), 1), np.arange(6000) // 3, "minmax", 500, 2000, 10, 1.0)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert rounds["f1"].iloc[-1] == 1 and most < 50e6
+
+
 def test_closure_passes_each_pair_once():
     """Rounds of closure until no pair is open, against its definition on all asked pairs."""
     from crowdlink.operators import kernels
