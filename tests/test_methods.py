@@ -481,6 +481,26 @@ def test_best_paths_take_memory_for_pairs_that_may_be_asked():
     assert rounds["f1"].iloc[-1] == 1 and most < 50e6
 
 
+def test_pivots_choose_without_a_look_at_all_pairs(monkeypatch):
+    from crowdlink.plans import simulate
+
+    looks, look = [], simulate.Pivot._choose
+    monkeypatch.setattr(simulate.Pivot, "_choose", lambda *x: looks.append(1) or look(*x))
+    for seed in range(4):
+        pool, _ = noisy_pool([9, 7, *[4] * 6, *[2] * 15], 0.5, seed, err=0.25)
+        pool.asked[pool.order[:40]] = True
+        method, n = simulate.Pivot(pool), 0
+        while len(fresh := look(method, label := method.cluster(None, None)[0], 6)):
+            looks.clear()
+            assert method.choose(label, 6).tolist() == fresh.tolist()
+            assert not looks or n > 20
+            pool.asked[fresh] = True
+            n += 1
+        a, b, q = pool.edges(pool.ratio)
+        x, y = np.minimum(a, b).astype(np.int64), np.maximum(a, b).astype(np.int64)
+        assert method._merged(x, y, 2 * q - 1).tolist() == kernels.agglomerate(pool.n, x, y, 2 * q - 1).tolist()
+
+
 def test_closure_passes_each_pair_once():
     """Rounds of closure until no pair is open, against its definition on all asked pairs."""
     from crowdlink.operators import kernels
