@@ -501,6 +501,27 @@ def test_pivots_choose_without_a_look_at_all_pairs(monkeypatch):
         assert method._merged(x, y, 2 * q - 1).tolist() == kernels.agglomerate(pool.n, x, y, 2 * q - 1).tolist()
 
 
+@pytest.mark.parametrize("spread", [True, False])
+def test_density_keeps_what_answers_do_not_change(spread, monkeypatch):
+    from crowdlink.plans import simulate
+
+    looks, look = [], simulate.Density._choose
+    monkeypatch.setattr(simulate.Density, "_choose", lambda *x: looks.append(1) or look(*x))
+    for seed in range(4):
+        pool, _ = noisy_pool([9, 7, *[4] * 6, *[2] * 15], 0.5, seed, err=0.25)
+        pool.asked[pool.order[:40]] = True
+        method, n = simulate.Density(pool, spread=spread), 0
+        looks.clear()
+        label, _ = method.cluster(None, None)
+        while len(fresh := method.choose(label, 6)):
+            assert not looks or n > 100
+            assert fresh.tolist() == look(method, label, 6).tolist()
+            pool.asked[fresh] = True
+            label, _ = method.cluster(label, fresh)
+            n += 1
+        assert pool.asked.all()
+
+
 def test_closure_passes_each_pair_once():
     """Rounds of closure until no pair is open, against its definition on all asked pairs."""
     from crowdlink.operators import kernels
