@@ -97,3 +97,19 @@ def test_appended_rows_of_a_stream_are_in_files(spark, name):
 def test_query_needs_its_given_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
         core.QUERIES[name](spark, str(tmp_path)).count()
+
+
+def test_a_stream_that_falls_short_is_no_result(spark):
+    from crowdlink.streaming import answers
+
+    rows = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", 5).load().select("value")
+    with pytest.raises(TimeoutError, match="falls_short has 3 of 4"):
+        answers.run_until(rows.where("value < 3"), "falls_short", "append", 4, seconds=3)
+    with pytest.raises(Exception, match="no value of this kind"):
+        answers.run_until(rows.select(F.when(F.col("value") > 7, F.raise_error(F.lit("no value of this kind")).cast("long")).otherwise(F.col("value")).alias("value")), "fails", "append", 1_000)
+
+
+def test_rate_calls_up_events_of_any_id(spark, tmp_path):
+    ids = [None, -4, 0, 7, 7, 10**15]
+    spark.createDataFrame([(x, "ab"[n % 2]) for n, x in enumerate(ids)], "event_id long, event_type string").write.parquet(str(tmp_path / "events.parquet"))
+    assert sorted(map(tuple, core.QUERIES["stream_rate"](spark, str(tmp_path)).collect())) == [("a", 3), ("b", 3)]
