@@ -627,3 +627,21 @@ def test_triangles_shuffle_no_pairs_of_neighbours(spark):
         assert written() - before < 50_000
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+@pytest.mark.parametrize("seed", [None, 1, 2])
+def test_near_copies_are_all_pairs_that_are_similar(spark, tmp_path, seed):
+    from crowdlink.sources import workloads
+
+    if seed is None:  # the long text has every shingle of the others, and is like neither
+        texts = ["p q r s t u c d e f g", "p q r s t u x", "p q r s t u y", "", "", None, "a b"]
+    else:
+        rng = np.random.default_rng(seed)
+        lines = [" ".join(rng.choice(list("abcdefghijklmnop"), 7)) for _ in range(12)]
+        texts = [" ".join(rng.choice(lines, rng.integers(1, 7))) for _ in range(150)]
+    spark.createDataFrame([(n, x) for n, x in enumerate(texts)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    sets = [None if x is None else {tuple(x.split()[i : i + 5]) for i in range(max(len(x.split()) - 4, 1))} for x in texts]
+    near = [(i, j) for i in range(len(texts)) for j in range(i) if sets[i] and sets[j] and 2 * len(sets[i] & sets[j]) >= len(sets[i] | sets[j])]
+    label = kernels.components(len(texts), *np.array(near).T)
+    of = {n: str(label[n]) for n in range(len(texts)) if (label == label[n]).sum() > 1}
+    assert {r.rid: r.entity for r in workloads.document_gold(spark, str(tmp_path)).collect()} == of
