@@ -571,3 +571,11 @@ def test_lm_learns_in_as_many_passes_at_any_size(spark, monkeypatch):
     for c in (10, 5_000_000):
         lm_score.fit(docs, spark.createDataFrame([(b"a", c)], "word binary, c long"))
     assert passes[0] == passes[1]
+
+
+def test_lm_learns_from_every_place_of_a_text(monkeypatch):
+    model, seen, took = recurrent.Recurrent.fresh(10, size=6, classes=3), [], recurrent.Recurrent._gradients
+    monkeypatch.setattr(recurrent.Recurrent, "_gradients", lambda self, piece, own, *rest: seen.append(piece[own >= 0]) or took(self, piece, own, *rest))
+    texts = [np.random.default_rng(k).integers(0, 11, n).astype(np.int32) for k, n in enumerate([1, 300, 7, 130, 0])]
+    model.train(texts, 0)
+    assert np.bincount(np.concatenate(seen), minlength=11).tolist() == np.bincount(np.concatenate(texts), minlength=11).tolist()
