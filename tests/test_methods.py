@@ -645,3 +645,22 @@ def test_near_copies_are_all_pairs_that_are_similar(spark, tmp_path, seed):
     label = kernels.components(len(texts), *np.array(near).T)
     of = {n: str(label[n]) for n in range(len(texts)) if (label == label[n]).sum() > 1}
     assert {r.rid: r.entity for r in workloads.document_gold(spark, str(tmp_path)).collect()} == of
+
+
+def test_merges_where_few_links_are_positive_equal_greedy(monkeypatch):
+    rng = np.random.default_rng(6)
+    for k in range(300):
+        n = int(rng.integers(2, 60))
+        a, b = rng.integers(0, n, (2, 5 * n))
+        a, b = a[a != b], b[a != b]
+        odds = np.round(rng.normal(-0.5, 2, len(a)), 12) if k % 3 else kernels.log_odds(rng.integers(0, 6, len(a)) / 5)
+        whole = None if k % 2 else rng.random(n) < 0.8
+        bound = None if k % 4 < 2 else (-1.0, -1, -1)
+        assert (kernels.agglomerate_few(n, a, b, odds, whole, bound) == kernels.agglomerate(n, a, b, odds, whole, bound)).all()
+    u, w = (x.ravel() for x in np.meshgrid(np.arange(400), np.arange(400)))
+    u, w = u[u < w], w[u < w]
+    odds = np.where((u % 100 == w % 100) & (rng.random(len(u)) < 0.5), 1.386294361120, -0.405465108108)
+    expected, took = kernels.agglomerate_few(400, u, w, odds), []
+    few = kernels.agglomerate_few
+    monkeypatch.setattr(kernels, "agglomerate_few", lambda *x: took.append(1) or few(*x))
+    assert (kernels.agglomerate(400, u, w, odds) == expected).all() and took  # sums of all pairs are not kept
