@@ -113,3 +113,9 @@ def test_rate_calls_up_events_of_any_id(spark, tmp_path):
     ids = [None, -4, 0, 7, 7, 10**15]
     spark.createDataFrame([(x, "ab"[n % 2]) for n, x in enumerate(ids)], "event_id long, event_type string").write.parquet(str(tmp_path / "events.parquet"))
     assert sorted(map(tuple, core.QUERIES["stream_rate"](spark, str(tmp_path)).collect())) == [("a", 3), ("b", 3)]
+
+
+def test_votes_of_suppliers_are_summed_after_the_shuffle(spark, monkeypatch):
+    monkeypatch.setattr(core.C, "scc", lambda edges, records: edges)
+    plan = core.QUERIES["scc_lineitem"](spark, SF)._jdf.queryExecution().executedPlan().toString()
+    assert plan.index("partial_count") < plan.index("Exchange hashpartitioning(u")  # upper steps stand first
